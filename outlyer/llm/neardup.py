@@ -7,8 +7,8 @@ posterior chance of reaching the threshold is under ``prune``. Survivors are con
 
 No bucket is expanded into all its pairs. First every member meets its bucket's smallest id; components of
 those links follow; then only members of *different* components of a bucket are compared: by a join in
-buckets of at most ``small`` members, and otherwise inside tasks over blocks of ``small * 64`` members, which
-emit survivors only. Every cross-component pair of every bucket is looked at, so components are complete.
+buckets of at most ``small`` members, and otherwise inside tasks over blocks of ``BLOCK`` members, which read
+full sets and emit links only. Every cross-component pair of every bucket is looked at, so components are complete.
 
 Edge cases: null or wordless text has no shingles, links with nothing and is kept; fewer words than a shingle
 form one shingle; rows that share an id are one document; a null id gets a null component and is kept; an
@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import cut
 
-ROWS, BATCH, BLOCK = 5, 20, 512
+ROWS, BATCH, BLOCK, BROADCAST_IDS = 5, 20, 1024, 2_000_000
 
 
 def bands_for(threshold: float, miss: float, rows: int = ROWS) -> int:
@@ -129,7 +129,9 @@ def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
                 known.clear()
             yield pa.record_batch([batch.column(0), pa.array(sets, pa.binary())], ["doc_id", "shingles"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi").mapInArrow(make, "doc_id long, shingles binary")
+    few = ids.count() <= BROADCAST_IDS  # 16 MB of ids at most; beyond that both sides are shuffled
+    wanted = F.broadcast(ids) if few else ids
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id", "left_semi").mapInArrow(make, "doc_id long, shingles binary")
 
 
 def surviving(a: np.ndarray, b: np.ndarray, checks: list[tuple[int, int]]) -> np.ndarray:
@@ -174,7 +176,7 @@ def verified(pairs: DataFrame, sigs: DataFrame, docs: DataFrame, width: int, thr
     s = sigs.select("doc_id", "sig")
     both = pairs.join(s.select(F.col("doc_id").alias("b"), F.col("sig").alias("sb")), "b").join(s.select(F.col("doc_id").alias("a"), F.col("sig").alias("sa")), "a")
     likely = cut(both.select("a", "b", "sa", "sb").mapInArrow(prune, "a long, b long"), "likely")
-    ids = likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).distinct()
+    ids = cut(likely.select(F.col("a").alias("doc_id")).union(likely.select("b")).distinct(), "ids")
     sets = cut(full_sets(docs, ids, width), "sets")
     both = likely.join(sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("sb")), "b").join(sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("sa")), "a")
     return both.select("a", "b", "sa", "sb").mapInArrow(confirm, "a long, b long").distinct()
@@ -194,11 +196,11 @@ def components(edges: DataFrame) -> DataFrame:
         labels = new.select("id", "component")
 
 
-def cross_blocks(members: DataFrame, survive) -> DataFrame:
-    """Survivors among members of different components of large buckets. members: key, id, comp, load.
+def cross_blocks(members: DataFrame, find) -> DataFrame:
+    """Links (a, b) among members of different components of a key. members: key, id, comp, load.
 
-    Members of a bucket's largest component never meet one another; the rest meet everyone, block by block.
-    ``survive(load, loads)`` tells which of a list of loads stay candidates of one load.
+    Members of a key's largest component never meet one another; the rest meet everyone, block by block.
+    ``find(loads, rest, comp, ids)`` gets one cell and returns pairs of places in it.
     """
     sizes = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"))
     top = sizes.groupBy("key").agg(F.max_by("comp", F.struct("n", "comp")).alias("top"), F.max("n").alias("n_top"), F.sum("n").alias("n_all"))
@@ -213,19 +215,41 @@ def cross_blocks(members: DataFrame, survive) -> DataFrame:
 
     def compare(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.drop_duplicates("id").reset_index(drop=True)
-        load = np.frombuffer(b"".join(pdf["load"]), np.uint32).reshape(len(pdf), -1)
-        ids, comp, rest = pdf["id"].to_numpy(), pdf["comp"].to_numpy(), pdf["rest"].to_numpy()
-        found = []
-        for i in np.flatnonzero(rest):
-            others = np.flatnonzero((comp != comp[i]) & (~rest | (ids > ids[i])))
-            if len(others):
-                ok = others[survive(load[i], load[others])]
-                found += [(min(ids[i], ids[j]), max(ids[i], ids[j])) for j in ok]
-        return pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+        ids = pdf["id"].to_numpy()
+        found = find(list(pdf["load"]), pdf["rest"].to_numpy(), pdf["comp"].to_numpy(), ids)
+        return pd.DataFrame([(min(ids[i], ids[j]), max(ids[i], ids[j])) for i, j in found], columns=["a", "b"], dtype="int64")
 
     return dealt.select("key", "cell", "id", "comp", "rest", "load").groupBy("key", "cell").applyInPandas(compare, "a long, b long")
 
 
+def exact_links(threshold_pct: int, hashes: int, checks: list[tuple[int, int]]):
+    """For :func:`cross_blocks` over full sets: signatures prune, sets decide; one link is enough for each row and other component."""
+
+    def find(loads, rest, comp, ids):
+        sets = [np.frombuffer(x, np.uint64) for x in loads]
+        sig = np.stack([signature(s, multipliers(hashes)) for s in sets])
+        sizes = np.array([len(s) for s in sets])
+        found = []
+        for i in np.flatnonzero(rest):
+            fit = 100 * np.minimum(sizes, sizes[i]) >= threshold_pct * np.maximum(sizes, sizes[i])
+            others = np.flatnonzero(fit & (comp != comp[i]) & (~rest | (ids > ids[i])))
+            if not len(others):
+                continue
+            others = others[surviving(np.broadcast_to(sig[i], (len(others), hashes)), sig[others], checks)]
+            if not len(others):
+                continue
+            flat = np.concatenate([sets[j] for j in others])
+            place = np.searchsorted(sets[i], flat)
+            place[place == len(sets[i])] = 0
+            common = np.add.reduceat((sets[i][place] == flat).astype(np.int64), np.concatenate([[0], np.cumsum(sizes[others])[:-1]]))
+            linked = others[100 * common >= threshold_pct * (sizes[i] + sizes[others] - common)]
+            _, first = np.unique(comp[linked], return_index=True)
+            found += [(i, linked[k]) for k in first]
+        return found
+
+    return find
+
+
 def near_duplicates(docs: DataFrame, width: int = 5, threshold_pct: int = 80, miss: float = 1e-6, prune: float = 1e-7, small: int = 12) -> DataFrame:
     """doc_id, n_shingles, component_id, kept."""
     threshold = threshold_pct / 100
@@ -247,12 +271,20 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold_pct: int = 80, mi
     open_ = cut(open_.join(mixed, "key", "left_semi"), "open")
     few, many = open_.where(F.col("n") <= small), open_.where(F.col("n") > small)
     pairs = few.alias("x").join(few.alias("y"), (F.col("x.key") == F.col("y.key")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.comp") != F.col("y.comp"))).select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
-    if not many.isEmpty():
-        survive = lambda x, y: surviving(np.broadcast_to(x, y.shape), y, checks)
-        pairs = pairs.union(cross_blocks(many.join(reps.select(F.col("doc_id").alias("id"), F.col("sig").alias("load")), "id"), survive))
     pairs = cut(pairs.distinct().join(stars, ["a", "b"], "left_anti"), "cross")
-    if not pairs.isEmpty():
-        more = cut(verified(pairs, reps, docs, width, threshold_pct, checks), "links")
+    found = [verified(pairs, reps, docs, width, threshold_pct, checks)] if not pairs.isEmpty() else []
+    if not many.isEmpty():
+        # once for each component that is the largest of some bucket, not once a bucket: its members there, and all others there
+        sizes = many.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("m"))
+        top = sizes.groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("top"))
+        met = cut(many.join(top, "key").select(F.col("top").alias("key"), "id", "comp").distinct(), "met")
+        sets = full_sets(docs, met.select(F.col("id").alias("doc_id")).distinct(), width)
+        # rows that share an id may differ; any text of theirs links it
+        loaded = met.join(sets.groupBy("doc_id").agg(F.max("shingles").alias("load")).withColumnRenamed("doc_id", "id"), "id")
+        found.append(cross_blocks(loaded, exact_links(threshold_pct, bands * ROWS, checks)))
+    if found:
+        more = found[0] if len(found) == 1 else found[0].union(found[1])
+        more = cut(more.distinct(), "links")
         if not more.isEmpty():
             comp = components(links.union(more))
 
