@@ -278,9 +278,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold_pct: int = 80, mi
         sizes = many.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("m"))
         top = sizes.groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("top"))
         met = cut(many.join(top, "key").select(F.col("top").alias("key"), "id", "comp").distinct(), "met")
-        sets = full_sets(docs, met.select(F.col("id").alias("doc_id")).distinct(), width)
+        wanted = full_sets(docs, met.select(F.col("id").alias("doc_id")).distinct(), width)
         # rows that share an id may differ; any text of theirs links it
-        loaded = met.join(sets.groupBy("doc_id").agg(F.max("shingles").alias("load")).withColumnRenamed("doc_id", "id"), "id")
+        loaded = met.join(wanted.groupBy("doc_id").agg(F.max("shingles").alias("load")).withColumnRenamed("doc_id", "id"), "id")
         found.append(cross_blocks(loaded, exact_links(threshold_pct, bands * ROWS, checks)))
     if found:
         more = found[0] if len(found) == 1 else found[0].union(found[1])
