@@ -8,13 +8,12 @@ ids of its words in turn. Words repeat, so each worker keeps a bounded table wor
 from __future__ import annotations
 
 import gc
-import re
 from array import array
 from collections.abc import Iterator
-from itertools import compress, repeat
-from operator import is_
+from itertools import compress, count, repeat
+from operator import concat, is_
 
-_ODD = re.compile("[\x1c-\x1f]")  # Python splits here, the vocabulary's pattern does not
+_O1, _O2, _O3, _O4 = "\x1c\x1d\x1e\x1f"  # Python splits here, the vocabulary's pattern does not
 
 
 _MARKS = ".,;:!?|$%&*#\")"  # a run of these at a word's end is one symbol run
@@ -42,24 +41,24 @@ class WordEncoder:
     def _encoded(tokenizer, words: list[str], into: dict[str, bytes]) -> None:
         for i in range(0, len(words), 20_000):
             part = words[i : i + 20_000]
-            for word, made in zip(part, tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                into[word] = array("I", made.ids).tobytes()
+            into.update((word, array("I", made.ids).tobytes()) for word, made in zip(part, tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True))
 
     def _learn(self, words: list[str]) -> None:
-        parted, whole = [], []
+        parted, lows, ends, whole = [], [], [], []
+        longest = self.longest
         for word in words:
             core = word.rstrip(_MARKS)
             low = core.lower()
-            if len(word) <= self.longest and low.isalpha() and (core.isascii() or max(core) < "\u0250"):
-                parted.append((word, low, word[len(core) :]))
+            if low.isalpha() and len(word) <= longest and (core.isascii() or max(core) < "\u0250"):
+                parted.append(word)
+                lows.append(low)
+                ends.append(word[len(core) :] if len(core) < len(word) else "")
             else:
                 whole.append(word)
-        self._encoded(self.letters, list({c for _, c, _ in parted if c not in self.cores}), self.cores)
-        self._encoded(self.tokenizer, list({m for _, _, m in parted if m not in self.marks}), self.marks)
+        self._encoded(self.letters, list(set(lows).difference(self.cores)), self.cores)
+        self._encoded(self.tokenizer, list(set(ends).difference(self.marks)), self.marks)
         self._encoded(self.tokenizer, whole, self.known)
-        cores, marks, known = self.cores, self.marks, self.known
-        for word, core, mark in parted:
-            known[word] = cores[core] + marks[mark] if mark else cores[core]
+        self.known.update(zip(parted, map(concat, map(self.cores.__getitem__, lows), map(self.marks.__getitem__, ends)), strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         paused = gc.isenabled()
@@ -71,7 +70,7 @@ class WordEncoder:
                 gc.enable()
 
     def _encode(self, texts: list[str]) -> list[bytes]:
-        split = [t.split() if not _ODD.search(t) else None for t in texts]
+        split = [None if _O1 in t or _O2 in t or _O3 in t or _O4 in t else t.split() for t in texts]
         if len(self.known) > self.limit:
             self.known.clear()
             self.cores.clear()
@@ -79,16 +78,20 @@ class WordEncoder:
         get = self.known.get
         found = [list(map(get, words)) if words is not None else None for words in split]
         unseen: set[str] = set()
+        gaps: list[list[int]] = []
         for words, parts in zip(split, found, strict=True):
-            if words is not None and None in parts:
-                unseen.update(compress(words, map(is_, parts, repeat(None))))
+            at = list(compress(count(), map(is_, parts, repeat(None)))) if words is not None and None in parts else []
+            gaps.append(at)
+            unseen.update([words[i] for i in at])
         self._learn(list(unseen))
         out = []
-        for text, words, parts in zip(texts, split, found, strict=True):
+        for text, words, parts, at in zip(texts, split, found, gaps, strict=True):
             if words is None:
                 out.append(array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes())
-            else:
-                out.append(b"".join([self.known[w] if p is None else p for w, p in zip(words, parts, strict=True)] if None in parts else parts))
+                continue
+            for i in at:
+                parts[i] = self.known[words[i]]
+            out.append(b"".join(parts))
         for word in [w for w in unseen if len(w) > self.longest]:
             del self.known[word]
         return out
