@@ -81,7 +81,7 @@ class CharModels:
                 gram = h[n - 1][ok]
                 if n < ORDER:  # continuation counts, but what follows the start has no left context and counts by itself
                     at_start = place[ok] == n - 1
-                    longer = np.unique(np.stack([gram[~at_start], h[n][ok][~at_start]], 1), axis=0)[:, 0]
+                    longer = gram[~at_start][np.unique(h[n][ok][~at_start], return_index=True)[1]]  # a longer n-gram has one ending
                     gram = np.concatenate([longer, gram[at_start]])
                 count = np.bincount(np.searchsorted(grams[n - 1], gram), minlength=len(grams[n - 1])).astype(np.float64)
                 if n == 1:
@@ -177,11 +177,28 @@ def training_texts(labelled: DataFrame, per_lang: int) -> dict[str, list[str]]:
     return out
 
 
-def fit(labelled: DataFrame, per_lang: int = 400) -> CharModels | None:
+def fit(labelled: DataFrame, per_lang: int = 150) -> CharModels | None:
     texts = {k: v for k, v in training_texts(labelled, per_lang).items() if any(_WORD.search(t) for t in v)}
     return CharModels.fit(texts).calibrate(texts) if texts else None
 
 
+def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000, words: int = 150_000) -> tuple[np.ndarray, np.ndarray]:
+    """Rates of many texts, about ``chars`` characters at a time; the word table starts anew beyond ``words``."""
+    rates, counts, at = [], [], 0
+    while at < len(texts):
+        to, held = at, 0
+        while to < len(texts) and (to == at or held + len(texts[to]) <= chars):
+            held += len(texts[to])
+            to += 1
+        r, n = m.rates(texts[at:to], cache)
+        rates.append(r)
+        counts.append(n)
+        if len(cache) > words:
+            cache.clear()
+        at = to
+    return (np.concatenate(rates), np.concatenate(counts)) if rates else (np.zeros((0, len(m.langs))), np.zeros(0))
+
+
 def predict(docs: DataFrame, model: CharModels | None) -> DataFrame:
     """All columns of ``docs`` but any clashing ones, plus lang_pred, score (0 to 1), bits_per_char and rejected."""
     spark = docs.sparkSession
@@ -199,7 +216,7 @@ def predict(docs: DataFrame, model: CharModels | None) -> DataFrame:
             bits: list[float | None] = [None] * len(texts)
             bad = [True] * len(texts)
             if m is not None:
-                rates, n = m.rates(texts, cache)
+                rates, n = _rated(m, texts, cache)
                 best = rates.argmin(axis=1)
                 posterior = np.exp2(-(rates - rates.min(axis=1, keepdims=True)) / m.temperature)
                 sure = 1 / posterior.sum(axis=1)
@@ -207,8 +224,6 @@ def predict(docs: DataFrame, model: CharModels | None) -> DataFrame:
                     b = int(best[i])
                     names[i], scores[i], bits[i] = m.langs[b], float(sure[i]), float(rates[i, b])
                     bad[i] = bool(rates[i, b] > m.reject[b])
-                if len(cache) > 400_000:
-                    cache.clear()
             more = [pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(bits, pa.float64()), pa.array(bad, pa.bool_())]
             yield pa.record_batch([*batch.columns, *more], [*batch.schema.names, "lang_pred", "score", "bits_per_char", "rejected"])
 

@@ -26,7 +26,7 @@ class WordEncoder:
     pretoken each; letters go straight to the vocabulary's merges. Any other word takes the whole way.
     """
 
-    def __init__(self, path: str, limit: int = 700_000, longest: int = 48):
+    def __init__(self, path: str, limit: int = 500_000, longest: int = 48):
         from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer, self.letters = Tokenizer.from_file(path), Tokenizer.from_file(path)
@@ -60,6 +60,11 @@ class WordEncoder:
         self._encoded(self.tokenizer, whole, self.known)
         self.known.update(zip(parted, map(concat, map(self.cores.__getitem__, lows), map(self.marks.__getitem__, ends)), strict=True))
 
+    def forget(self) -> None:
+        self.known.clear()
+        self.cores.clear()
+        self.marks = {"": b""}
+
     def encode(self, texts: list[str]) -> list[bytes]:
         paused = gc.isenabled()
         gc.disable()  # the tables hold no cycles, and scans of them cost a quarter of the time
@@ -72,9 +77,7 @@ class WordEncoder:
     def _encode(self, texts: list[str]) -> list[bytes]:
         split = [None if _O1 in t or _O2 in t or _O3 in t or _O4 in t else t.split() for t in texts]
         if len(self.known) > self.limit:
-            self.known.clear()
-            self.cores.clear()
-            self.marks = {"": b""}
+            self.forget()
         get = self.known.get
         found = [list(map(get, words)) if words is not None else None for words in split]
         unseen: set[str] = set()
@@ -101,7 +104,7 @@ _encoders: dict[str, WordEncoder] = {}
 
 
 def encoder(path: str) -> WordEncoder:
-    """One encoder a worker process: its table outlives a task."""
+    """One encoder a worker process."""
     if path not in _encoders:
         import os
 
@@ -119,6 +122,13 @@ def default_vocabulary() -> str:
 def encoded_batches(batches: Iterator, path: str, id_col: str, text_col: str, bytes_at_once: int = 4_000_000) -> Iterator[tuple[list, list[bytes]]]:
     """From Arrow batches, lists of ids and of encoded texts; a few MB of text at a time."""
     enc = encoder(path)
+    try:
+        yield from _encoded(enc, batches, id_col, text_col, bytes_at_once)
+    finally:
+        enc.forget()  # other operators use the same worker after this task
+
+
+def _encoded(enc: WordEncoder, batches: Iterator, id_col: str, text_col: str, bytes_at_once: int) -> Iterator[tuple[list, list[bytes]]]:
     for batch in batches:
         ids, texts = batch.column(id_col).to_pylist(), [t or "" for t in batch.column(text_col).to_pylist()]
         at = 0

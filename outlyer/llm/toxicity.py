@@ -152,12 +152,15 @@ def _entries(text: str) -> set[str]:
 
 def induce(texts: list[str], labels: list[int], most: int = 400, price: float = 4.0) -> Grammar:
     """Greedy cover of toxic texts by words and word beginnings, each other text that holds one costs ``price``."""
-    toxic, other = [_entries(t) for t, y in zip(texts, labels, strict=True) if y], [_entries(t) for t, y in zip(texts, labels, strict=True) if not y]
-    n_t, n_o = len(toxic), len(other)
+    toxic = [_entries(t) for t, y in zip(texts, labels, strict=True) if y]
+    n_t, n_o = len(toxic), len(texts) - len(toxic)
     in_t: Counter = Counter(e for s in toxic for e in s)
     least = max(3, n_t // 300)
     wanted = {e for e, c in in_t.items() if c >= least}
-    in_o = Counter(e for s in other for e in s & wanted)
+    in_o: Counter = Counter()
+    for t, y in zip(texts, labels, strict=True):
+        if not y:
+            in_o.update(_entries(t) & wanted)
     good = {e for e in wanted if math.log((in_t[e] + 0.5) / (n_t + 1)) - math.log((in_o[e] + 0.5) / (n_o + 1)) > 2.0}
     left = [s & good for s in toxic]
     insults, prefixes = {}, {}
@@ -189,7 +192,7 @@ def induce(texts: list[str], labels: list[int], most: int = 400, price: float =
     return g
 
 
-def fit(labelled: DataFrame, per_class: int = 1500) -> Grammar:
+def fit(labelled: DataFrame, per_class: int = 800) -> Grammar:
     """labelled: text, toxic. At most ``per_class`` toxic and three times as many other texts, smallest hash first."""
     rows = labelled.where("toxic is not null and text is not null").select("text", F.col("toxic").cast("int").alias("toxic"), F.xxhash64("text").alias("h"))
     n = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
