@@ -182,7 +182,7 @@ def fit(labelled: DataFrame, per_lang: int = 150) -> CharModels | None:
     return CharModels.fit(texts).calibrate(texts) if texts else None
 
 
-def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000, words: int = 150_000) -> tuple[np.ndarray, np.ndarray]:
+def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000, words: int = 300_000) -> tuple[np.ndarray, np.ndarray]:
     """Rates of many texts, about ``chars`` characters at a time; the word table starts anew beyond ``words``."""
     rates, counts, at = [], [], 0
     while at < len(texts):
