@@ -18,7 +18,7 @@ PASSAGE = " ".join(WORDS[i % 10] + str(i) for i in range(60))
 
 @pytest.fixture(scope="module")
 def docs(spark):
-    rows = [(0, f"{PASSAGE}\nshort line", "en"), (1, f"intro\n{PASSAGE}\nend", "en"), (2, None, None), (3, "", "en"), (4, PASSAGE, "en"), (4, PASSAGE, "en"), (5, PASSAGE + " extra", None), (None, "no id here", "en"), (6, "a@b.co +49 170 1234567 4111 1111 1111 1111 10.0.0.255 DE89 3704 0044 0532 0130 00", "de")]
+    rows = [(0, f"{PASSAGE}\nshort line", "en"), (1, f"intro\n{PASSAGE}\nend", "en"), (2, None, None), (3, "", "en"), (4, PASSAGE, "en"), (4, PASSAGE, "en"), (5, PASSAGE + " extra", None), (None, "no id here", "en"), (6, "a@b.co tel +49 170 1234567 card 4111 1111 1111 1111 ip 10.0.0.255 acc DE89 3704 0044 0532 0130 00", "de")]
     return spark.createDataFrame(rows, "doc_id long, text string, lang string")
 
 
@@ -58,7 +58,7 @@ def test_best_fit_is_tight():
 
 
 def test_sharding(docs, spark):
-    rows = sharding.shard_by_bytes(docs, shards=3).collect()
+    rows = sharding.shard_by_bytes(docs, shards=2).collect()
     assert len(rows) == docs.count() and len({r["shard"] for r in rows if r["doc_id"] == 4}) == 1
     for s in {r["shard"] for r in rows}:
         assert sorted(r["slot"] for r in rows if r["shard"] == s) == list(range(sum(r["shard"] == s for r in rows)))
