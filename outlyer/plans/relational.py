@@ -318,3 +318,98 @@ def shingle_48(s, d):
 @query("with recursive c as (select 1 as node, 0 as depth union all select node * 2 + b, depth + 1 from c, (values (0), (1)) t(b) where depth < 5) select node, depth from c")
 def node_paths(s, d):
     return s.sql("with recursive c as (select 1 as node, 0 as depth union all select node * 2 + b, depth + 1 from c, (values (0), (1)) t(b) where depth < 5) select node, depth from c")
+
+
+@query("select o_orderkey from orders where exists (select 1 from lineitem where l_orderkey = o_orderkey and l_quantity = 50)")
+def exists_filter(s, d):
+    """A correlated EXISTS, which Catalyst rewrites to a semi join."""
+    big = T(s, d, "lineitem").where((F.col("l_orderkey") == F.col("o_orderkey").outer()) & (F.col("l_quantity") == 50))
+    return T(s, d, "orders").where(big.exists()).select("o_orderkey")
+
+
+_SEEDS = f"select vec_id as seed, embedding as c from embeddings order by {u01_sql('seed', 'vec_id')}, vec_id limit 8"
+
+
+@query(f"with s as ({_SEEDS}), m as (select e.vec_id, s.seed, round(list_sum(list_transform(list_zip(e.embedding, s.c), lambda z: pow(z[1]::double - z[2]::double, 2))), 6) as d2 from embeddings e, s) select vec_id, arg_min(seed, (d2, seed)) as seed, min(d2) as d2 from m group by 1")
+def join_nearest_seed(s, d):
+    """Every vector with the nearest of 8 drawn seeds: the seeds are one broadcast row, so the join is a map."""
+    e = T(s, d, "embeddings").select("vec_id", F.transform("embedding", lambda v: v.cast("double")).alias("e"))
+    seeds = e.orderBy(u01("seed", "vec_id"), "vec_id").limit(8).agg(F.collect_list(F.struct(F.col("vec_id").alias("seed"), F.col("e").alias("c"))).alias("seeds"))
+    far = lambda c: F.round(F.aggregate(F.zip_with("e", c, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda a, v: a + v), 6)
+    best = F.array_min(F.transform("seeds", lambda z: F.struct(far(z["c"]).alias("d2"), z["seed"].alias("seed"))))
+    return e.crossJoin(F.broadcast(seeds)).select("vec_id", best.alias("m")).select("vec_id", "m.seed", "m.d2")
+
+
+@query("with g as (select *, case when ts <= lag(ts) over w + interval 1 hour then 0 else 1 end as fresh from events window w as (partition by user_id order by ts, event_id)), k as (select *, sum(fresh) over (partition by user_id order by ts, event_id) as part from g) select user_id, min(ts) as st, count(*) as n from k group by user_id, part")
+def session_counts(s, d):
+    return T(s, d, "events").groupBy("user_id", F.session_window(F.col("ts").cast("timestamp"), "1 hour").alias("w")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("w.start").cast("timestamp_ntz").alias("st"), "n")
+
+
+@query("with g as (select user_id, event_type, count(*) as n from events group by 1, 2) select user_id, coalesce(sum(n) filter (event_type = 'purchase'), 0)::bigint as purchases, (count(*) filter (n > 1))::int as repeated from g group by 1")
+def fn_map(s, d):
+    g = T(s, d, "events").groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
+    m = g.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    return m.select("user_id", F.coalesce(F.try_element_at("m", F.lit("purchase")), F.lit(0).cast("long")).alias("purchases"), F.size(F.map_filter("m", lambda k, v: v > 1)).alias("repeated"))
+
+
+@query("select p_partkey, p_retailprice, p_size from part")
+def roundtrip_csv(s, d):
+    """A point set through CSV text and back."""
+    line = F.to_csv(F.struct("p_partkey", "p_retailprice", "p_size"))
+    return T(s, d, "part").select(F.from_csv(line, "p_partkey bigint, p_retailprice double, p_size int").alias("r")).select("r.*")
+
+
+@query("with q as (select event_type, quantile_cont(value, 0.95) as t from events group by 1) select event_id, (value >= t)::int as flagged from events join q using (event_type)")
+def top_fraction(s, d):
+    """Flags the top 5 % of each type: the cut is one exact percentile a type."""
+    e = T(s, d, "events").select("event_id", "event_type", "value")
+    cut = e.groupBy("event_type").agg(F.percentile("value", F.lit(0.95)).alias("t"))
+    return e.join(F.broadcast(cut), "event_type").select("event_id", (F.col("value") >= F.col("t")).cast("int").alias("flagged"))
+
+
+@query("select event_id, value from events where value > 150 and event_type <> 'view'")
+def flagged(s, d):
+    return T(s, d, "events").where("value > 150 and event_type <> 'view'").select("event_id", "value")
+
+
+@query("select l_orderkey, round(case when n <= 1 then 0 when n = 2 then 1 else 2 * (ln(n - 1) + 0.5772156649015329) - 2.0 * (n - 1) / n end, 6) as c from (select l_orderkey, count(*) as n from lineitem group by 1)")
+def sql_functions(s, d):
+    """The average search depth as a registered SQL function: Catalyst inlines it."""
+    s.sql("create or replace temporary function c_iso(n bigint) returns double return case when n <= 1 then 0D when n = 2 then 1D else 2 * (ln(n - 1) + 0.5772156649015329D) - 2D * (n - 1) / n end")
+    return T(s, d, "lineitem").groupBy("l_orderkey").agg(F.count(F.lit(1)).alias("n")).select("l_orderkey", F.round(F.expr("c_iso(n)"), 6).alias("c"))
+
+
+@query("select p_partkey, round(abs(sqrt(pow(p_size, 2) + pow(p_retailprice / 100, 2)) - 20), 6) as delta from part")
+def udf_scalar(s, d):
+    """Residual to a circle by a vectorised Arrow function."""
+    rim = F.pandas_udf(lambda x, y: ((x**2 + y**2) ** 0.5 - 20).abs(), "double")
+    return T(s, d, "part").select("p_partkey", F.round(rim(F.col("p_size").cast("double"), F.col("p_retailprice") / 100), 6).alias("delta"))
+
+
+_CELLS = "g as (select p_partkey % 40 as gx, p_partkey // 40 as gy from part), w as (select unnest([gx // 5, gx // 5 - 1]) as wx, gx, gy from g), v as (select wx, unnest([gy // 5, gy // 5 - 1]) as wy from w)"
+
+
+@query(f"with {_CELLS} select wx, wy, count(*) as n from v where wx >= 0 and wy >= 0 group by 1, 2")
+def window_assign(s, d):
+    """Lattice cells in half-overlapping windows of side 10: at most four copies of a cell."""
+    g = T(s, d, "part").select(F.pmod("p_partkey", F.lit(40)).alias("gx"), F.floor(F.col("p_partkey") / 40).alias("gy"))
+    at = lambda c: F.explode(F.array(F.floor(F.col(c) / 5), F.floor(F.col(c) / 5) - 1))
+    return g.select(at("gx").alias("wx"), "gy").select("wx", at("gy").alias("wy")).where("wx >= 0 and wy >= 0").groupBy("wx", "wy").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(f"with {_CELLS} select wx, wy, count(*) as n from v where wx >= 0 and wy >= 0 group by 1, 2")
+def udtf_windows(s, d):
+    """The same windows by a table function called from SQL."""
+    from pyspark.sql.functions import udtf
+
+    @udtf(returnType="wx bigint, wy bigint")
+    class Windows:
+        def eval(self, gx: int, gy: int):
+            for x in (gx // 5, gx // 5 - 1):
+                for y in (gy // 5, gy // 5 - 1):
+                    if x >= 0 and y >= 0:
+                        yield x, y
+
+    s.udtf.register("assign_windows", Windows)
+    cells = T(s, d, "part").select(F.pmod("p_partkey", F.lit(40)).alias("gx"), F.floor(F.col("p_partkey") / 40).alias("gy"))
+    return s.sql("select wx, wy, count(*) as n from {cells} c, lateral assign_windows(c.gx, c.gy) group by wx, wy", cells=cells)

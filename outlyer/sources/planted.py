@@ -140,11 +140,11 @@ def event_stream(spark: SparkSession, sf_dir: str, drift: bool = False) -> DataF
 
 
 def lattice(spark: SparkSession, sf_dir: str, side: int = 40, hole: float = 1 / 10) -> DataFrame:
-    """A smooth surface over a grid keyed by ``part`` or ``lineitem`` rows, with a jagged hole: pid, gx, gy, x, is_anom."""
-    g = load(spark, sf_dir, "part").select((F.col("p_partkey") - 1).alias("pid")).where(F.col("pid") < side * side)
+    """A smooth surface over a grid ``side`` cells wide, one cell a ``part`` row, with a jagged hole in each square of it: pid, gx, gy, x, is_anom."""
+    g = load(spark, sf_dir, "part").select(F.col("p_partkey").alias("pid"))
     gx, gy = F.pmod("pid", F.lit(side)), F.floor(F.col("pid") / side)
     u, v = gx / side, gy / side
-    inside = (F.pow(u - 0.5, 2) + F.pow(v - 0.5, 2)) < hole**2
+    inside = (F.pow(u - 0.5, 2) + F.pow(v - F.floor(v) - 0.5, 2)) < hole**2
     z = 0.3 * F.sin(3 * u) + 0.2 * F.cos(2 * v) + 0.002 * normal01("surface", "pid")
     z = F.when(inside, z - 0.15 - 0.1 * u01("hole", "pid")).otherwise(z)
     return g.select("pid", gx.cast("int").alias("gx"), gy.cast("int").alias("gy"), F.array(u, v, z).alias("x"), inside.cast("int").alias("is_anom"))

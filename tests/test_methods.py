@@ -105,3 +105,21 @@ def test_booster_and_ratio():
 def test_auc_edge_cases():
     assert math.isnan(isolation.auc(np.ones(3), np.zeros(3)))
     assert isolation.auc(np.array([1, 1, 1, 1]), np.array([0, 1, 0, 1])) == 0.5
+
+
+def test_segmented_replay_equals_plain_in_first_run(spark):
+    from outlyer.streaming.online import replay
+
+    df = spark.range(600).selectExpr("id as t", "cast(id % 7 as double) as a", "cast(id % 11 as double) as b")
+    how = {"trees": 2, "omega": 64, "eta": 8}
+    plain = {r["t"]: r["score"] for r in replay(df, ["a", "b"], ["t"], **how).collect()}
+    cut = {r["t"]: r["score"] for r in replay(df, ["a", "b"], ["t"], segment=256, warm=128, **how).collect()}
+    assert cut.keys() == plain.keys()
+    assert all(cut[t] == plain[t] for t in range(256))
+
+
+def test_fixed_half_spaces_miss_a_dense_ball(spark):
+    from outlyer import catalog
+
+    got = {r["method"]: r["auc"] for r in catalog.queries()["half_space_clustered"](spark, "/root/testdata/sf0.001").collect()}
+    assert got["adaptive"] > 0.9 > 0.7 > got["half_space"]
