@@ -216,8 +216,9 @@ def cross_blocks(members: DataFrame, find) -> DataFrame:
     def compare(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.drop_duplicates("id").reset_index(drop=True)
         ids = pdf["id"].to_numpy()
-        found = find(list(pdf["load"]), pdf["rest"].to_numpy(), pdf["comp"].to_numpy(), ids)
-        return pd.DataFrame([(min(ids[i], ids[j]), max(ids[i], ids[j])) for i, j in found], columns=["a", "b"], dtype="int64")
+        found = np.array(find(list(pdf["load"]), pdf["rest"].to_numpy(), pdf["comp"].to_numpy(), ids), np.int64).reshape(-1, 2)
+        x, y = ids[found[:, 0]], ids[found[:, 1]]
+        return pd.DataFrame({"a": np.minimum(x, y), "b": np.maximum(x, y)}, dtype="int64")
 
     return dealt.select("key", "cell", "id", "comp", "rest", "load").groupBy("key", "cell").applyInPandas(compare, "a long, b long")
 

@@ -146,6 +146,34 @@ def test_image_copies(spark):
     assert [got[i] for i in range(10)] == [0, 1, 2, 3, 4, 5, 0, 0, 1, 2] and got[99] == 99
 
 
+def _corners(rng, n, key=None):
+    out = np.zeros(n, media.FIELDS)
+    out["x"], out["y"], out["scale"] = rng.uniform(0, 200, n), rng.uniform(0, 200, n), 1
+    out["bits"] = rng.integers(0, 2**32, (n, media.WORDS), dtype=np.uint64).astype(np.uint32)
+    if key is not None:
+        out["bits"][0, :2] = key
+    return out
+
+
+@pytest.mark.parametrize("crowd", [1, 30])
+def test_image_copies_equal_brute_force_over_all_pairs(spark, monkeypatch, crowd):
+    """Ten corners agree without an equal quarter; the only shared key is of corners that are far apart, in a bucket whose hub is neither image."""
+    rng = np.random.default_rng(9)
+    key = np.array([7, 9], np.uint32)
+    made = [_corners(rng, 11, key) for _ in range(crowd + 1)]
+    copy = made[-1].copy()
+    copy["x"] += 5
+    copy["bits"][1:, ::2] ^= 1  # a bit of each quarter
+    copy["bits"][0, 2:] = rng.integers(0, 2**32, media.WORDS - 2, dtype=np.uint64)
+    made.append(copy)
+    same = [(i, j) for j in range(len(made)) for i in range(j) if media.consensus(made[i], made[j]) >= 8]
+    assert same == [(crowd, crowd + 1)]
+    rows = [(i, len(m), bytearray(m.tobytes())) for i, m in enumerate(made)]
+    monkeypatch.setattr(media, "features", lambda m: m)
+    got = {r["media_id"]: r["group_id"] for r in media.edited_copies(spark.createDataFrame(rows, "media_id long, n_corners int, corners binary")).collect()}
+    assert got == {i: min(i, crowd) for i in range(len(made))}
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_equals_sql(spark, name):
     from outlyer.llm.queries import queries
