@@ -6,7 +6,7 @@ import atexit
 import tempfile
 import uuid
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 _written: list[tuple[SparkSession, str]] = []
@@ -62,6 +62,21 @@ def fold_of(col: str, folds: int) -> Column:
     return F.pmod(F.crc32(F.col(col).cast("string").cast("binary")), F.lit(folds))
 
 
+def smallest_hashes(keyed: DataFrame, most: int | dict) -> DataFrame:
+    """label, h: the smallest distinct hashes ``h`` of each label, at most ``most`` (a number, or one for each label).
+
+    Copies count once in the share that bounds the window as in the window itself, and the share leaves room
+    for 50 more than three times ``most``, so no label that has rows ends without a hash.
+    """
+    counts = {r["label"]: r["n"] for r in keyed.groupBy("label").agg(F.approx_count_distinct("h").alias("n")).collect()}
+    cap = {x: most if isinstance(most, int) else most[x] for x in counts}
+    of = lambda values, other: F.coalesce(F.create_map(*[F.lit(v) for kv in values.items() for v in kv])[F.col("label")], F.lit(other)) if values else F.lit(other)
+    near = keyed.where((F.shiftrightunsigned("h", 11) / F.lit(float(2**53))) <= of({x: min(1.0, (3.0 * cap[x] + 50) / max(1, n)) for x, n in counts.items()}, 1.0))
+    w = Window.partitionBy("label").orderBy("h")
+    picked = near.select("label", "h").distinct().withColumn("k", F.row_number().over(w)).where(F.col("k") <= of(cap, 0)).select("label", "h")
+    return keyed.sparkSession.createDataFrame([(r["label"], r["h"]) for r in picked.collect()], picked.schema)
+
+
 def blocks_for(rows: int, per_block: int, least: int = 16, most: int = 65_536) -> int:
     """How many hash blocks hold about ``per_block`` rows each; bounded, so per-block summaries stay small."""
     return int(min(most, max(least, -(-rows // per_block))))

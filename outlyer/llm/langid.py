@@ -7,8 +7,8 @@ The language with the lowest length-normalised cross-entropy wins. Calibration:
 cross-entropy gaps into a posterior, and a text whose own cross-entropy lies above the rejection quantile of
 its language's training texts is rejected.
 
-The model is fitted on at most ``per_lang`` whole labelled texts a language (smallest hash of the text first),
-so its size is bounded whatever the corpus. Every text is scored whole.
+The model is fitted on at most ``per_lang`` whole, different labelled texts a language (smallest hash of the text
+first; copies count once), so its size is bounded whatever the corpus. Every text is scored whole.
 
 Edge cases: null, empty or letterless text is ``und`` with score 0, and rejected; rows with null lang are not
 learned from; with no labelled rows everything is ``und``; lang, source and ids never enter a prediction.
@@ -19,10 +19,12 @@ from __future__ import annotations
 import re
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import smallest_hashes
+
 ORDER, START, END = 5, 1, 2
 _WORD = re.compile(r"[^\W\d_]+")
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -162,18 +164,11 @@ class CharModels:
 
 
 def training_texts(labelled: DataFrame, per_lang: int) -> dict[str, list[str]]:
-    """At most ``per_lang`` texts a language, smallest hash first; the pre-filter keeps the window small on large inputs."""
-    rows = labelled.where("lang is not null and text is not null").select("lang", "text", F.xxhash64("text").alias("h"))
-    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
-    share = F.lit(1.0)
-    for lang, n in counts.items():
-        share = F.when(F.col("lang") == lang, F.lit(min(1.0, 3.0 * per_lang / n))).otherwise(share)
-    near = rows.where((F.shiftrightunsigned("h", 11) / F.lit(float(2**53))) <= share)
-    w = Window.partitionBy("lang").orderBy("h", "text")
-    picked = near.withColumn("k", F.row_number().over(w)).where(F.col("k") <= per_lang)
-    out: dict[str, list[str]] = {lang: [] for lang in counts}
-    for r in picked.select("lang", "text").toLocalIterator():
-        out[r["lang"]].append(r["text"])
+    """At most ``per_lang`` different texts with letters a language, smallest hash first."""
+    rows = labelled.where("lang is not null and text is not null").where(F.col("text").rlike(r"\p{L}")).select(F.col("lang").alias("label"), "text", F.xxhash64("text").alias("h"))
+    out: dict[str, list[str]] = {}
+    for r in rows.join(F.broadcast(smallest_hashes(rows.select("label", "h"), per_lang)), ["label", "h"]).dropDuplicates(["label", "text"]).orderBy("label", "h", "text").toLocalIterator():
+        out.setdefault(r["label"], []).append(r["text"])
     return out
 
 

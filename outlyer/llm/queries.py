@@ -15,7 +15,8 @@ from .sql import ORACLES
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     labels = table(spark, sf_dir, "labels").where(fold_of("doc_id", 3) != 1).select("doc_id", "toxic")
-    grammar = toxicity.fit(docs.join(labels, "doc_id").select("text", "toxic"))
+    hashed = docs.where("text is not null").withColumn("h", F.xxhash64("text"))
+    grammar = toxicity.fit(hashed.select("doc_id", "h").join(labels, "doc_id").select("h", "toxic"), texts=hashed.select("h", "text"))
     return toxicity.scores(docs, grammar).select("doc_id", (fold_of("doc_id", 3) == 1).alias("held_out"), "score", "predicted")
 
 

@@ -20,9 +20,11 @@ import re
 from collections import Counter
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import smallest_hashes
+
 _TOKEN = re.compile(r"[^\W\d_]+|[.!?;:\n\"“”«»]")
 _WORD = re.compile(r"[^\W\d_]+")
 OTHER, INSULT, THREAT, TARGET, NEGATION, REPORT, QUOTE = range(7)
@@ -192,20 +194,19 @@ def induce(texts: list[str], labels: list[int], most: int = 400, price: float =
     return g
 
 
-def fit(labelled: DataFrame, per_class: int = 800) -> Grammar:
-    """labelled: text, toxic. At most ``per_class`` toxic and three times as many other texts, smallest hash first."""
-    rows = labelled.where("toxic is not null and text is not null").select("text", F.col("toxic").cast("int").alias("toxic"), F.xxhash64("text").alias("h"))
-    n = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count(F.lit(1)).alias("n")).collect()}
-    cap = F.when(F.col("toxic") == 1, F.lit(per_class)).otherwise(F.lit(3 * per_class))
-    share = F.when(F.col("toxic") == 1, F.lit(2.0 * per_class / max(1, n.get(1, 0)))).otherwise(F.lit(6.0 * per_class / max(1, n.get(0, 0))))
-    near = rows.where(F.shiftrightunsigned("h", 11) / F.lit(float(2**53)) <= share)
-    picked = near.withColumn("k", F.row_number().over(Window.partitionBy("toxic").orderBy("h", "text"))).where(F.col("k") <= cap)
-    got = picked.select("text", "toxic").toLocalIterator()
-    texts, labels = [], []
-    for r in got:
-        texts.append(r["text"])
-        labels.append(r["toxic"])
-    return induce(texts, labels)
+def fit(labelled: DataFrame, per_class: int = 800, texts: DataFrame | None = None) -> Grammar:
+    """labelled: text, toxic. At most ``per_class`` toxic and three times as many other texts, smallest hash first; equal texts of a label are one.
+
+    With ``texts`` (h, text; h is the text's xxhash64) ``labelled`` holds h in place of text, so that no text takes part in a join of its rows.
+    """
+    if texts is None:
+        texts = labelled.where("text is not null").select(F.xxhash64("text").alias("h"), "text")
+        labelled = labelled.where("text is not null").select(F.xxhash64("text").alias("h"), "toxic")
+    keyed = labelled.where("toxic is not null and h is not null").select((F.col("toxic").cast("int") == 1).cast("int").alias("label"), "h")
+    picked = smallest_hashes(keyed, {0: 3 * per_class, 1: per_class})
+    got = texts.join(F.broadcast(picked), "h").select("label", "text").distinct().collect()  # 4 per_class texts at most
+    rows = sorted((r["label"], r["text"]) for r in got)
+    return induce([t for _, t in rows], [y for y, _ in rows])
 
 
 def scores(docs: DataFrame, grammar: Grammar, threshold: float = 0.7) -> DataFrame:

@@ -174,6 +174,19 @@ def test_image_copies_equal_brute_force_over_all_pairs(spark, monkeypatch, crowd
     assert got == {i: min(i, crowd) for i in range(len(made))}
 
 
+def test_samples_collapse_copies(spark):
+    """Languages and labels whose rows are copies of few texts keep every one of those texts."""
+    letters = "abcdefghij"
+    name = lambda i: "".join(letters[int(c)] for c in str(i))
+    rows = [("one text of one language", "xx")] * 4000 + [(f"wort {name(i % 20)} und mehr", "yy") for i in range(4000)] + [(f"word {name(i)} and more", "en") for i in range(4000)] + [("123 456", "zz"), ("zz text", "zz")]
+    got = langid.training_texts(spark.createDataFrame(rows, "text string, lang string"), 50)
+    assert {k: len(set(v)) for k, v in got.items()} == {"xx": 1, "yy": 20, "en": 50, "zz": 1}
+    assert all(len(v) == len(set(v)) for v in got.values())
+    rows = [(f"you are a zorgle {name(i % 4)}", 1) for i in range(4000)] + [(f"a kind day {name(i)}", 0) for i in range(4000)]
+    grammar = toxicity.fit(spark.createDataFrame(rows, "text string, toxic int"), per_class=40)
+    assert grammar.base == pytest.approx(4 / 124) and "zorgle" in str(grammar.insults) + str(grammar.prefixes) and grammar.score(["you zorgle"])[0] > grammar.score(["a kind day"])[0]
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_equals_sql(spark, name):
     from outlyer.llm.queries import queries
