@@ -4,8 +4,8 @@ A word is its letters between two boundary marks; contexts do not cross words, s
 the sum of its words' divided by its characters. N-gram codes are 64-bit hashes in sorted arrays, one array
 an order with one row of log-probabilities and back-off weights per language, looked up by binary search.
 The language with the lowest length-normalised cross-entropy wins. Calibration: a temperature turns
-cross-entropy gaps into a posterior, and a text whose own cross-entropy lies above the rejection quantile of
-its language's training texts is rejected.
+cross-entropy gaps into a posterior, and a text whose own cross-entropy lies above the rejection level of its
+language is rejected. The level comes from the rates of all labelled rows the model was not fitted on.
 
 The model is fitted on at most ``per_lang`` whole, different labelled texts a language (smallest hash of the text
 first; copies count once), so its size is bounded whatever the corpus. Every text is scored whole.
@@ -172,9 +172,51 @@ def training_texts(labelled: DataFrame, per_lang: int) -> dict[str, list[str]]:
     return out
 
 
-def fit(labelled: DataFrame, per_lang: int = 150) -> CharModels | None:
-    texts = {k: v for k, v in training_texts(labelled, per_lang).items() if any(_WORD.search(t) for t in v)}
-    return CharModels.fit(texts).calibrate(texts) if texts else None
+def fit(labelled: DataFrame, per_lang: int = 400, levels: bool = True) -> CharModels | None:
+    """Without ``levels`` the rejection levels stay those of the sample; for callers that do not use ``rejected``."""
+    texts = training_texts(labelled, per_lang)
+    if not texts:
+        return None
+    model = CharModels.fit(texts).calibrate(texts)
+    if levels:
+        model.reject = rejection_levels(labelled, model, texts)
+    return model
+
+
+def rejection_levels(labelled: DataFrame, model: CharModels, texts: dict[str, list[str]], quantile: float = 0.999, slack: float = 1.25) -> np.ndarray:
+    """Level of each language: ``slack`` times a quantile of the rates of all labelled rows whose text the model was not fitted on.
+
+    A language with fewer than 1,000 such rows adds the rates of its sample under models of the other half of it,
+    fitted as the whole; one with a single text rejects nothing.
+    """
+    import hashlib
+
+    used = {(lang, hashlib.md5(t.encode("utf-8", "surrogatepass")).digest()) for lang, ts in texts.items() for t in ts}
+    shared = labelled.sparkSession.sparkContext.broadcast((model, used))  # bounded as the model is
+
+    def run(batches):
+        import pyarrow as pa
+
+        (m, known), cache = shared.value, {}
+        place = {lang: i for i, lang in enumerate(m.langs)}
+        for batch in batches:
+            rows = [(lang, t) for lang, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if lang in place and (lang, hashlib.md5(t.encode("utf-8", "surrogatepass")).digest()) not in known]
+            rates, n = _rated(m, [t for _, t in rows], cache)
+            kept = [(lang, float(rates[i, place[lang]])) for i, (lang, _) in enumerate(rows) if n[i] > 0]
+            yield pa.record_batch([pa.array([k for k, _ in kept], pa.string()), pa.array([r for _, r in kept], pa.float64())], ["lang", "rate"])
+
+    rated = labelled.where("lang is not null and text is not null").select("lang", "text").mapInArrow(run, "lang string, rate double")
+    found = {r["lang"]: r for r in rated.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("rate", quantile, 100_000).alias("level")).collect()}
+    out = np.full(len(model.langs), np.inf)
+    for i, lang in enumerate(model.langs):
+        n, level = (found[lang]["n"], found[lang]["level"]) if lang in found else (0, 0.0)
+        if n < 1000 and len(texts[lang]) > 1:
+            halves = [texts[lang][::2], texts[lang][1::2]]
+            crossed = [CharModels.fit({lang: fitted}).rates(other, {})[0][:, 0] for fitted, other in (halves, halves[::-1])]
+            level = max(level, float(np.quantile(np.concatenate(crossed), quantile)))
+        if level > 0:
+            out[i] = slack * level
+    return out
 
 
 def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000, words: int = 300_000) -> tuple[np.ndarray, np.ndarray]:

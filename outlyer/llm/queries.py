@@ -38,7 +38,7 @@ def op5_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
-    model = langid.fit(docs.where(fold_of("doc_id", 5) != 0).select("text", "lang"))
+    model = langid.fit(docs.where(fold_of("doc_id", 5) != 0).select("text", "lang"), levels=False)
     return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", (fold_of("doc_id", 5) == 0).alias("held_out"), "lang_pred", "score")
 
 

@@ -187,6 +187,23 @@ def test_samples_collapse_copies(spark):
     assert grammar.base == pytest.approx(4 / 124) and "zorgle" in str(grammar.insults) + str(grammar.prefixes) and grammar.score(["you zorgle"])[0] > grammar.score(["a kind day"])[0]
 
 
+def test_rejection_levels_come_from_rows_outside_the_sample(spark):
+    """Clean rows that the sample does not hold pass, also where the sample is a small part or the whole of a language; noise does not."""
+    rng = np.random.default_rng(12)
+    stems = ["".join(rng.choice(list("abdegilmnorst"), 7)) for _ in range(3000)]
+    texts = [" ".join(stems[k] for k in rng.integers(0, 3000, 20)) for _ in range(1500)]
+    rows = [(t, "big") for t in texts] + [(" ".join(stems[k] for k in range(i, i + 20)), "small") for i in range(0, 300, 20)] + [("only text", "single")]
+    df = spark.createDataFrame(rows, "text string, lang string")
+    m = langid.fit(df, per_lang=15)
+    level = dict(zip(m.langs, m.reject, strict=True))
+    sample = langid.training_texts(df, 15)
+    held = [t for t in texts if t not in set(sample["big"])]
+    rates = m.rates(held, {})[0][:, m.langs.index("big")]
+    assert level["big"] == pytest.approx(1.25 * np.sort(rates)[int(np.ceil(0.999 * len(rates))) - 1]) and (rates <= level["big"]).all()
+    assert np.isinf(level["single"]) and level["small"] > 1.25 * m.rates(sample["small"], {})[0][:, m.langs.index("small")].max()
+    assert m.rates(["qzxj wqvk xxzq"], {})[0][0, m.langs.index("big")] > level["big"]
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_equals_sql(spark, name):
     from outlyer.llm.queries import queries
