@@ -173,3 +173,31 @@ def nn_ratio(test: np.ndarray, train: np.ndarray, labels: np.ndarray) -> np.ndar
     first = d[np.arange(len(d)), near]
     second = np.where(labels[None] != labels[near][:, None], d, np.inf).min(axis=1)
     return np.divide(second, first, out=np.full(len(d), np.inf), where=first > 0)
+
+
+def nn_ratios(test: DataFrame, train: DataFrame, label: str, size: int, block: int = 2048) -> DataFrame:
+    """doc_id, ratio of :func:`nn_ratio` for each row of ``test`` against all rows of ``train``.
+
+    Equal feature rows are one; blocks of queries meet blocks of training rows and only the least distance of each query and class leaves them.
+    """
+    queries, known = test.select(F.col("feats").alias("qf")).distinct(), train.select(F.col(label).alias("label"), F.col("feats").alias("tf")).distinct()
+    nq, nt = (max(1, -(-df.count() // block)) for df in (queries, known))
+    all_of = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    part = lambda feats, n: F.pmod(F.xxhash64(feats), F.lit(n)).cast("int")
+    q = queries.select("qf", part("qf", nq).alias("i"), all_of(nt).alias("j"))
+    t = known.select("label", "tf", all_of(nq).alias("ti"), part("tf", nt).alias("tj"))
+
+    def least(mine: pd.DataFrame, theirs: pd.DataFrame) -> pd.DataFrame:
+        if not len(mine) or not len(theirs):
+            return pd.DataFrame({"feats": [], "label": [], "d": []})
+        x, out = dense(mine["qf"], size), []
+        for name, rows in theirs.groupby("label"):
+            y = dense(rows["tf"], size)
+            d = (x.sum(1)[:, None] + y.sum(1)[None] - 2 * x @ y.T).min(axis=1)
+            out.append(pd.DataFrame({"feats": mine["qf"], "label": name, "d": d}))
+        return pd.concat(out)
+
+    mins = q.groupBy("i", "j").cogroup(t.groupBy("ti", "tj")).applyInPandas(least, "feats array<int>, label string, d double").groupBy("feats", "label").agg(F.min("d").alias("d"))
+    near = mins.groupBy("feats").agg(F.sort_array(F.collect_list("d")).alias("d"))
+    first, second = F.get("d", F.lit(0)), F.coalesce(F.get("d", F.lit(1)), F.lit(float("inf")))
+    return test.select("doc_id", "feats").join(near, "feats", "left").select("doc_id", F.when(first > 0, F.try_divide(second, first)).otherwise(F.lit(float("inf"))).alias("ratio"))

@@ -123,3 +123,29 @@ def test_fixed_half_spaces_miss_a_dense_ball(spark):
 
     got = {r["method"]: r["auc"] for r in catalog.queries()["half_space_clustered"](spark, "/root/testdata/sf0.001").collect()}
     assert got["adaptive"] > 0.9 > 0.7 > got["half_space"]
+
+
+def test_nn_ratios_take_all_training_rows(spark):
+    rng = np.random.default_rng(5)
+    rows = [(i, "abc"[int(rng.integers(3))] if i % 7 else None, sorted({int(v) for v in rng.integers(1, 25, 6)})) for i in range(1500)]
+    df = spark.createDataFrame(rows, "doc_id long, lang string, feats array<int>")
+    train = [r for r in rows if r[1] and r[0] % 20]
+    assert len(train) > 1000
+    x = openset.dense([r[2] for r in rows if r[0] % 20 == 0], 24)
+    want = openset.nn_ratio(x, openset.dense([r[2] for r in train], 24), np.array([r[1] for r in train], object))
+    got = {r["doc_id"]: r["ratio"] for r in openset.nn_ratios(df.where("doc_id % 20 = 0"), df.where("lang is not null and doc_id % 20 <> 0"), "lang", 24, block=300).collect()}
+    assert [got[20 * k] for k in range(75)] == pytest.approx(want.tolist())
+
+
+def test_nn_ratio_query_equals_brute_force_over_all_training_rows(spark):
+    from outlyer import catalog
+    from outlyer.plans import methods
+
+    d = "/root/testdata/sf0.01"
+    got = {r["doc_id"]: r["ratio"] for r in catalog.queries()["nn_ratio"](spark, d).collect()}
+    rows = methods._presence(spark, d)[2].select("doc_id", "lang", "feats").collect()
+    train = [r for r in rows if r["lang"] is not None and u01_py("split", r["doc_id"]) < 0.67]
+    test = [r for r in rows if r["doc_id"] % 20 == 0]
+    want = openset.nn_ratio(openset.dense([r["feats"] for r in test], 154), openset.dense([r["feats"] for r in train], 154), np.array([r["lang"] for r in train], object))
+    assert sorted(got) == sorted(r["doc_id"] for r in test)
+    assert [got[r["doc_id"]] for r in test] == pytest.approx(want.tolist())
