@@ -146,6 +146,23 @@ def test_image_copies(spark):
     assert [got[i] for i in range(10)] == [0, 1, 2, 3, 4, 5, 0, 0, 1, 2] and got[99] == 99
 
 
+def test_crops_of_large_images_agree():
+    """A half and a quarter of a large image whose strongest corners lie outside the crop; one true transform behind many false partners."""
+    rng = np.random.default_rng(8)
+    image = media.blur(np.kron(rng.uniform(100, 150, (50, 50)), np.ones((8, 8))))
+    image[:200, :200] = (image[:200, :200] - 125) * 4 + 125
+    image = image.clip(0, 255).astype(np.uint8)
+    whole = media.describe(image)
+    assert len(whole) > 32
+    for crop in (image[:, 200:], image[200:, 200:]):
+        assert media.consensus(whole, media.describe(crop)) >= 8
+    a = _corners(rng, 30)
+    b = a.copy()
+    b["x"][:20], b["y"][:20] = rng.uniform(0, 200, 20), rng.uniform(0, 200, 20)
+    assert media.consensus(a, b) >= 10 and media.consensus(a, b, enough=8) >= 8
+    assert not np.array_equal(media.render(np.ones(100) * np.arange(100)), media.render(np.ones(64) * np.arange(64)))
+
+
 def _corners(rng, n, key=None):
     out = np.zeros(n, media.FIELDS)
     out["x"], out["y"], out["scale"] = rng.uniform(0, 200, n), rng.uniform(0, 200, n), 1
