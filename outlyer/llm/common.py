@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -13,10 +14,12 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``; a temporary one only where that is unset."""
+    """The folder all executors share: ``spark.checkpoint.dir``; a temporary one only where that is unset and driver and executors are one process."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found.rstrip("/")
+    if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     mine = getattr(shared_dir, "_own", None)
     if mine is None:
         mine = shared_dir._own = "file://" + tempfile.mkdtemp(prefix="outlyer-")
@@ -57,6 +60,26 @@ def text_of(col: str = "text") -> Column:
     return F.coalesce(F.col(col), F.lit(""))
 
 
+def guarded(docs: DataFrame, *needed: str) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """``docs`` with all columns but ``needed`` under names that nothing else uses, and the way back to its columns."""
+    other = {c: f"_input_{i}" for i, c in enumerate(docs.columns) if c not in needed}
+    renamed = docs.select(*[F.col(f"`{c}`").alias(other.get(c, c)) for c in docs.columns])
+    return renamed, lambda df: df.select(*[F.col(other.get(c, c)).alias(c) for c in docs.columns])
+
+
+BROADCAST_IDS = 2_000_000
+
+
+def bounded(ids: DataFrame) -> DataFrame:
+    """A written table of ids, to be broadcast where it has at most BROADCAST_IDS rows (16 MB); beyond that a join shuffles both sides."""
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
+def without(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows whose doc_id is not among ``ids``; a null id stays."""
+    return docs.join(bounded(cut(ids.select("doc_id").where("doc_id is not null").distinct(), "ids")), "doc_id", "left_anti")
+
+
 def fold_of(col: str, folds: int) -> Column:
     """crc32 of the id's decimal text, modulo ``folds``."""
     return F.pmod(F.crc32(F.col(col).cast("string").cast("binary")), F.lit(folds))

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_of
+from .common import text_of, without
 
 
 def normalise(text: str | None) -> str:
@@ -134,4 +134,4 @@ def matches(docs: DataFrame, items: DataFrame, rate: float = 0.08, shortest: int
 
 def decontaminate(docs: DataFrame, items: DataFrame, **how) -> DataFrame:
     """Documents in which no item occurs within its budget; a row without id stays."""
-    return docs.join(matches(docs, items, **how).select("doc_id").distinct(), "doc_id", "left_anti")
+    return without(docs, matches(docs, items, **how))

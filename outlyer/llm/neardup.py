@@ -24,9 +24,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import bounded, cut
 
-ROWS, BATCH, BLOCK, BROADCAST_IDS = 5, 20, 1024, 2_000_000
+ROWS, BATCH, BLOCK = 5, 20, 1024
 
 
 def bands_for(threshold: float, miss: float, rows: int = ROWS) -> int:
@@ -129,9 +129,7 @@ def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
                 known.clear()
             yield pa.record_batch([batch.column(0), pa.array(sets, pa.binary())], ["doc_id", "shingles"])
 
-    few = ids.count() <= BROADCAST_IDS  # 16 MB of ids at most; beyond that both sides are shuffled
-    wanted = F.broadcast(ids) if few else ids
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id", "left_semi").mapInArrow(make, "doc_id long, shingles binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(bounded(ids), "doc_id", "left_semi").mapInArrow(make, "doc_id long, shingles binary")
 
 
 def surviving(a: np.ndarray, b: np.ndarray, checks: list[tuple[int, int]]) -> np.ndarray:
