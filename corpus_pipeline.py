@@ -9,31 +9,38 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from outlyer.llm import decontam, langid, linededup, neardup, packing
-from outlyer.llm.common import cut, fold_of, table
+from outlyer.llm.common import cut, fold_of, guarded, table, without
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps documents whose language the model recognises; ``lang`` stays as given."""
+    """Keeps documents whose language the model recognises; ``lang`` stays as given. Without any labelled text there is no model and all stay."""
     model = langid.fit(docs.where(fold_of("doc_id", 5) != 0).select("text", "lang"))
-    return langid.predict(docs, model).where(~F.col("rejected")).select(*docs.columns)
+    if model is None:
+        return docs
+    own, back = guarded(docs, "doc_id", "text", "lang")
+    return back(langid.predict(own, model).where(~F.col("rejected")))
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Deletes later copies of repeated line runs; a document of which nothing is left goes."""
-    out = linededup.dedup_lines(docs)
+    own, back = guarded(docs, "doc_id", "text", "n_chars")
+    out = linededup.dedup_lines(own)
     blank = F.regexp_replace(F.coalesce("text", F.lit("")), r"[\s\p{Z}]+", "") == ""
-    return out.where(~((F.col("n_removed") > 0) & blank)).withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
+    out = out.where(~((F.col("n_removed") > 0) & blank))
+    if "n_chars" in docs.columns:
+        out = out.withColumn("n_chars", F.when(F.col("n_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
+    return back(out)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each group of near copies: five-word shingles, similarity 0.8 or more."""
-    kept = neardup.near_duplicates(docs).where("kept").select("doc_id").distinct()
-    return docs.where("doc_id is null").unionByName(docs.join(kept, "doc_id", "left_semi").select(*docs.columns))
+    """Keeps one document of each group of near copies: five-word shingles, similarity 0.8 or more. Rows that share an id stay or go together."""
+    gone = neardup.near_duplicates(docs.select("doc_id", "text")).groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept")
+    return without(docs, gone).select(*docs.columns)
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold a benchmark item within its edit budget."""
-    return decontam.decontaminate(docs, table(spark, sf_dir, "benchmark")).select(*docs.columns)
+    return decontam.decontaminate(docs, table(spark, sf_dir, "benchmark").select("item_id", "text")).select(*docs.columns)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,7 +50,7 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("language", language), ("lines", lines), ("near_duplicates", near_duplicates), ("decontaminated", decontaminated), ("packed", packed)]
 
-#: Language models, signatures and packing have no SQL form; tests compare with brute force.
+#: Language models, signatures and packing have no SQL form; tests/llm/test_pipeline.py compares each stage with brute force.
 ORACLE_SQL = None
 
 
