@@ -35,16 +35,25 @@ def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def release(spark: SparkSession | None = None) -> None:
-    """Delete the tables that :func:`cut` wrote; results that still read them become invalid."""
-    for owner, path in list(_written):
+def _delete(owner: SparkSession, path: str) -> None:
+    try:
+        jvm = owner.sparkContext._jvm
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(owner.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    except Exception:  # the session may be gone at exit
+        pass
+
+
+def written() -> int:
+    """How many tables :func:`cut` has written and not deleted yet."""
+    return len(_written)
+
+
+def release(spark: SparkSession | None = None, since: int = 0, keep: int = 0) -> None:
+    """Delete the tables that :func:`cut` wrote after the first ``since``, but for the last ``keep``; results that still read them become invalid."""
+    for owner, path in _written[since : len(_written) - keep]:
         if spark is None or owner is spark:
-            try:
-                jvm = owner.sparkContext._jvm
-                where = jvm.org.apache.hadoop.fs.Path(path)
-                where.getFileSystem(owner.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
-            except Exception:  # the session may be gone at exit
-                pass
+            _delete(owner, path)
             _written.remove((owner, path))
 
 
