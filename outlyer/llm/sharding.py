@@ -1,15 +1,16 @@
 """Byte-balanced sharding by Karmarkar-Karp differencing, in two levels.
 
-Documents with equal text form a group that goes to one shard. Large groups, of which there can be only a
-bounded number, are differenced first; what they give each shard is the load that the rest starts from. The
-other groups fall into hash blocks; each block differences its groups together with its part of that load:
-partial partitions with the largest spread are combined first, oppositely ordered, so every block evens out.
+Documents with equal text form a group that goes to one shard whole, whatever its size. Small groups fall into hash
+blocks; each block differences its own groups into a partial partition: partial partitions with the largest spread
+are combined first, oppositely ordered. The blocks' partial partitions, and the large groups as partitions of one
+part, are then combined in the same way, so parts of a block go to the shards that need them. A group is large from a
+64th of a shard's fair share or a quarter of a block's rows on, so there are few and no block holds a hot group.
 
-A group larger than a shard's whole fair share cannot be indivisible and balanced at once: it is dealt, by the
-id's hash, into chunks of a quarter share, and these are indivisible instead.
+A group larger than the fair share makes its shard larger than the others, which stay even among themselves.
 
 Edge cases: a null text has size 1 and the checksum of an empty text, and forms one group with empty texts;
-an empty table gives no rows; repeated doc ids stay separate rows; other columns are ignored.
+an empty table gives no rows; repeated doc ids stay separate rows; equal sizes are ordered by group digest, so
+ties do not depend on the order of rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -63,18 +64,13 @@ def combine(partials: list[tuple[np.ndarray, list]]) -> tuple[np.ndarray, np.nda
     return sums, out
 
 
-def differencing(sizes: np.ndarray, k: int, load: np.ndarray | None = None) -> np.ndarray:
-    """Part of each item by Karmarkar-Karp from single items, parts starting from the given loads."""
+def differencing(sizes: np.ndarray, k: int) -> np.ndarray:
+    """Part of each item by Karmarkar-Karp from single items."""
     if not len(sizes):
         return np.empty(0, np.int64)
-    first = np.zeros((len(sizes) + 1, k), np.int64)
-    first[:-1, 0] = sizes
-    if load is not None:
-        first[-1] = load
-    _, labels = combine([(row, None) for row in first])
-    part = np.empty(k, np.int64)
-    part[labels[-1]] = np.arange(k)
-    return part[labels[:-1, 0]]
+    first = np.zeros((len(sizes), k), np.int64)
+    first[:, 0] = sizes
+    return combine([(row, None) for row in first])[1][:, 0]
 
 
 def shard_by_bytes(docs: DataFrame, shards: int = 16, per_block: int = 20_000) -> DataFrame:
@@ -86,33 +82,36 @@ def shard_by_bytes(docs: DataFrame, shards: int = 16, per_block: int = 20_000) -
         "sizes",
     )
     head = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("size"), F.lit(0)).alias("b")).first()
-    blocks = blocks_for(head["n"], per_block, least=4, most=16_384)
-    share = max(1, head["b"] // shards)
-    large = max(1, share // blocks)
-    # At most total / large, about shards * blocks groups are large; those above a share are dealt into chunks.
-    chunks = F.when(F.col("b") > share, F.ceil(F.col("b") * 4 / F.lit(share))).otherwise(F.lit(1)).cast("long")
-    big = cut(rows.groupBy("g").agg(F.sum("size").alias("b")).where(F.col("b") > large).select("g", chunks.alias("chunks")), "large")
-    dealt = rows.join(F.broadcast(big), "g", "left").withColumn("chunk", F.when(F.col("chunks") > 1, F.pmod(F.xxhash64("doc_id", "row"), F.col("chunks"))).otherwise(F.lit(0)).cast("long"))
-    dealt = cut(dealt.select("doc_id", "row", "size", "text_crc32", "g", "chunk", F.col("chunks").isNotNull().alias("big")), "dealt")
-    first = sorted(((bytes(r["g"]), r["chunk"], r["b"]) for r in dealt.where("big").groupBy("g", "chunk").agg(F.sum("size").alias("b")).collect()), key=lambda x: (-x[2], x[0], x[1]))
-    fixed = differencing(np.array([x[2] for x in first], np.int64), shards)
-    load = np.bincount(fixed, weights=[x[2] for x in first], minlength=shards).astype(np.int64) // blocks if len(first) else np.zeros(shards, np.int64)
-    to = spark.createDataFrame([(bytearray(g), c, int(s)) for (g, c, _), s in zip(first, fixed, strict=True)], "g binary, chunk long, fixed int")
-    dealt = dealt.join(F.broadcast(to), ["g", "chunk"], "left").withColumn("block", F.pmod(F.when(F.col("big"), F.xxhash64("doc_id", "row")).otherwise(F.xxhash64("g")), F.lit(blocks)).cast("int"))
+    blocks = blocks_for(head["n"], per_block, least=4)
+    of = rows.groupBy("g").agg(F.sum("size").alias("b"), F.count(F.lit(1)).alias("n"))
+    large = cut(of.where((F.col("b") > max(1, head["b"] // shards // 64)) | (F.col("n") > max(1, per_block // 4))).select("g", "b"), "large")
+    # at most 64 * shards groups by bytes and 4 * blocks groups by rows
+    marked = rows.join(F.broadcast(large.select("g", F.lit(True).alias("big"))), "g", "left")
+    marked = cut(marked.withColumn("block", F.pmod(F.when(F.col("big"), F.xxhash64("row")).otherwise(F.xxhash64("g")), F.lit(blocks)).cast("int")).withColumn("big", F.coalesce("big", F.lit(False))), "marked")
 
     def local(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["doc_id", "row"], kind="stable", ignore_index=True)
-        shard = pdf["fixed"].fillna(-1).to_numpy().astype(np.int64)
-        own = np.flatnonzero(shard < 0)
-        _, group = np.unique(np.array([bytes(g) for g in pdf["g"].iloc[own]], dtype=object), return_inverse=True)
-        sums = np.bincount(group, weights=pdf["size"].to_numpy()[own]).astype(np.int64)
-        if len(own):
-            shard[own] = differencing(sums, shards, load)[group]
-        return pdf.assign(shard=shard.astype("int32"), nth=pd.Series(shard).groupby(shard).cumcount().to_numpy())[["doc_id", "size", "text_crc32", "block", "shard", "nth"]]
-
-    placed = cut(dealt.groupBy("block").applyInPandas(local, "doc_id long, size long, text_crc32 long, block int, shard int, nth long"), "placed")
-    counts = placed.groupBy("block", "shard").agg(F.count(F.lit(1)).alias("n"))  # at most blocks * shards rows
-    base = counts.select("block", "shard", F.coalesce(F.sum("n").over(Window.partitionBy("shard").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
-    return placed.join(F.broadcast(base), ["block", "shard"]).select(
+        names, group = np.unique(np.array([bytes(g) for g in pdf["g"]], dtype=object), return_inverse=True)
+        part = differencing(np.bincount(group, weights=pdf["size"].to_numpy(), minlength=len(names)).astype(np.int64), shards)[group]
+        return pdf.assign(part=part.astype("int32"), nth=pd.Series(part).groupby(part).cumcount().to_numpy())[["doc_id", "size", "text_crc32", "block", "part", "nth"]]
+
+    own = cut(marked.where("not big").drop("big").groupBy("block").applyInPandas(local, "doc_id long, size long, text_crc32 long, block int, part int, nth long"), "parted")
+    sums: dict[int, np.ndarray] = {}
+    for r in own.groupBy("block", "part").agg(F.sum("size").alias("b")).collect():  # at most blocks * shards rows
+        sums.setdefault(r["block"], np.zeros(shards, np.int64))[r["part"]] = r["b"]
+    whole = sorted(((r["b"], bytes(r["g"])) for r in large.collect()), key=lambda x: (-x[0], x[1]))
+    partials = [(np.append(b, np.zeros(shards - 1, np.int64)), None) for b, _ in whole] + [(sums[k], None) for k in sorted(sums)]
+    to = combine(partials)[1] if partials else np.empty((0, shards), np.int64)
+    shard_of = spark.createDataFrame([(bytearray(g), int(to[i, 0])) for i, (_, g) in enumerate(whole)], "g binary, shard int")
+    moved = spark.createDataFrame([(k, j, int(to[len(whole) + i, j])) for i, k in enumerate(sorted(sums)) for j in range(shards)], "block int, part int, shard int")
+
+    kept = ["doc_id", "size", "text_crc32", "shard", "block", "kind", "nth"]
+    small = own.join(F.broadcast(moved), ["block", "part"]).withColumn("kind", F.lit(0)).select(*kept)
+    beside = Window.partitionBy("block", "shard").orderBy("doc_id", "row")
+    big = marked.where("big").join(F.broadcast(shard_of), "g").withColumn("kind", F.lit(1)).withColumn("nth", (F.row_number().over(beside) - 1).cast("long")).select(*kept)
+    placed = cut(small.unionByName(big), "placed")
+    counts = placed.groupBy("block", "kind", "shard").agg(F.count(F.lit(1)).alias("n"))  # at most 2 * blocks * shards rows
+    base = counts.select("block", "kind", "shard", F.coalesce(F.sum("n").over(Window.partitionBy("shard").orderBy("block", "kind").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    return placed.join(F.broadcast(base), ["block", "kind", "shard"]).select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("base") + F.col("nth")).alias("slot"), F.lit(None).cast("int").alias("grown_shard")
     )
