@@ -3,7 +3,7 @@
 Round 0 deals pieces into hash blocks and packs each block by best-fit-decreasing. A bin at least
 ``full`` of the limit is final. The emptiest ``carry`` bins of a block go on as items of the next round,
 where ``fan`` blocks meet; what is not carried is final as it stands, so the root sees at most
-``fan * carry`` bins whatever the input's size. No row is dropped.
+``fan * carry`` bins, about one block, whatever the input's size. No row is dropped.
 
 Edge cases: null text is an empty document (its only id is the end id 0); an empty table gives no rows;
 repeated doc ids are packed as separate rows, each with its own pieces; other columns are ignored.
@@ -95,11 +95,11 @@ def _merge(limit: int, full: float, carry: int, round_no: int, last: bool):
     return pack
 
 
-def pack(pieces: DataFrame, limit: int = 2048, full: float = 0.998, carry: int = 96, fan: int = 16, per_block: int = 25_000) -> DataFrame:
-    """Assigns sequence_id and offset to each piece (columns of :func:`token_pieces`). ``pieces`` should be cheap to read twice."""
-    blocks = blocks_for(pieces.count(), per_block)
+def pack(pieces: DataFrame, limit: int = 2048, full: float = 0.998, carry: int = 3750, fan: int = 16, per_block: int = 60_000) -> DataFrame:
+    """Assigns sequence_id and offset to each piece (columns of :func:`token_pieces`). ``pieces`` is a written table: rows are numbered as they are read."""
+    blocks = blocks_for(pieces.count(), per_block, least=4)
     rows = pieces.withColumn("bin", F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
-    rows = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(blocks)).cast("long"))
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("bin"), F.lit(blocks)).cast("long"))
     schema = PIECES + ", bin long, offset long, block long, done boolean"
     final, n = None, 0
     while True:
