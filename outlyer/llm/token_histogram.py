@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import bounded, cut
 from .tokens import default_vocabulary, encoded_batches
 
 
@@ -74,8 +74,8 @@ def limit_table(hist: DataFrame) -> DataFrame:
 def document_report(lengths: DataFrame) -> DataFrame:
     """Per document: its length, how many documents are at least as long, and the corpus total truncated at its length.
 
-    The histogram has one row per distinct length and is joined back by length; a length that many
-    documents share meets one row, and adaptive execution splits it.
+    The histogram has one row per distinct length, far fewer than documents; it is written and broadcast within a
+    bound, so that a length many documents share is no single task.
     """
     kept = cut(lengths, "lengths")
-    return kept.join(limit_table(length_histogram(kept)), "n_tokens").select("doc_id", "n_tokens", "docs_at_least", "docs_fitting", "truncated_total")
+    return kept.join(bounded(cut(limit_table(length_histogram(kept)), "histogram")), "n_tokens").select("doc_id", "n_tokens", "docs_at_least", "docs_fitting", "truncated_total")
