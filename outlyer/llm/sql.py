@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from .pii import BASE_SCORE, CONTEXT, RAISE, SURE
+
 # The contract's patterns, as they stand there.
 _EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+"
 _IP = r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)"
@@ -17,8 +19,10 @@ _MOD = """(length(p) between 15 and 34 and list_reduce(list_prepend(0::bigint, l
 
 
 def _kind(n: int, name: str, pattern: str) -> str:
-    return f"""select doc_id, {n} as ord, '{name}' as kind, unnest(m) as m, unnest(list_transform(range(1, len(m) + 1), lambda i: ends[i] - length(m[i]))) as s, unnest(ends) as e
-  from (select doc_id, m, list_transform(range(1, len(m) + 1), lambda i: list_sum(list_transform(g[:i], lambda x: length(x))) + list_sum(list_transform(m[:i], lambda x: length(x))))::bigint[] as ends
+    score = BASE_SCORE[name]
+    return f"""select doc_id, {n} as ord, '{name}' as kind, unnest(m) as m, unnest(list_transform(range(1, len(m) + 1), lambda i: ends[i] - length(m[i]))) as s, unnest(ends) as e,
+  unnest(list_transform(range(1, len(m) + 1), lambda i: {score} + case when regexp_matches(lower(right(g[i], 40)), '(?:^|[^a-z])(?:{CONTEXT[name]})') then {RAISE} else 0 end)) as score
+  from (select doc_id, m, g, list_transform(range(1, len(m) + 1), lambda i: list_sum(list_transform(g[:i], lambda x: length(x))) + list_sum(list_transform(m[:i], lambda x: length(x))))::bigint[] as ends
   from (select doc_id, regexp_extract_all(text, '{pattern}') as m, regexp_split_to_array(text, '{pattern}') as g from t) where len(m) > 0)"""
 
 
@@ -30,10 +34,10 @@ good as (select * from plain where case kind when 'email' then true
   when 'card' then {_LUHN}
   when 'phone' then length(d) between 9 and 15
   else {_MOD} end),
-agg as (select doc_id, count(*) filter (ord = 0) as n_email, count(*) filter (ord = 1) as n_ip, count(*) filter (ord = 2) as n_card, count(*) filter (ord = 3) as n_phone,
+agg as (select doc_id, count(*) filter (ord = 0) as n_email, count(*) filter (ord = 1) as n_ip, count(*) filter (ord = 2) as n_card, count(*) filter (ord = 3) as n_phone, count(*) filter (score >= {SURE}) as n_sure,
   string_agg(kind || ':' || s || ':' || e, ',' order by s, ord) filter (ord < 4) as base, string_agg(kind || ':' || s || ':' || e, ',' order by s, ord) as spans from good group by doc_id)
 select t.doc_id, coalesce(n_email, 0) as n_email, coalesce(n_ip, 0) as n_ip, coalesce(n_card, 0) as n_card, coalesce(n_phone, 0) as n_phone,
-  sha256(coalesce(base, '')) as base_sha256, coalesce(spans, '') as spans from t left join agg using (doc_id)"""
+  sha256(coalesce(base, '')) as base_sha256, coalesce(spans, '') as spans, coalesce(n_sure, 0) as n_sure from t left join agg using (doc_id)"""
 
 # Windows of whole lines: the shortest of at least 50 words from each line and to each line; the first copy of each stays.
 OP7 = r"""with raw as (select doc_id, text, string_split(text, chr(10)) as ls from documents),
