@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from .common import bounded, cut
 
-ROWS, BATCH, BLOCK = 5, 20, 1024
+ROWS, BATCH, BLOCK, BLOCK_BYTES = 5, 20, 1024, 16_000_000
 
 
 def bands_for(threshold: float, miss: float, rows: int = ROWS) -> int:
@@ -200,11 +200,12 @@ def cross_blocks(members: DataFrame, find) -> DataFrame:
     Members of a key's largest component never meet one another; the rest meet everyone, block by block.
     ``find(loads, rest, comp, ids)`` gets one cell and returns pairs of places in it.
     """
-    sizes = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"))
-    top = sizes.groupBy("key").agg(F.max_by("comp", F.struct("n", "comp")).alias("top"), F.max("n").alias("n_top"), F.sum("n").alias("n_all"))
+    weight = F.length("load") if dict(members.dtypes)["load"] == "binary" else F.lit(0)
+    sizes = members.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("n"), F.sum(weight).alias("w"))
+    top = sizes.groupBy("key").agg(F.max_by(F.struct("comp", "n", "w"), F.struct("n", "comp")).alias("t"), F.sum("n").alias("n_all"), F.sum("w").alias("w_all")).select("key", F.col("t.comp").alias("top"), F.col("t.n").alias("n_top"), F.col("t.w").alias("w_top"), "n_all", "w_all")
     m = members.join(top, "key").withColumn("rest", F.col("comp") != F.col("top"))
-    blocks = lambda n: F.greatest(F.lit(1), F.ceil(n / F.lit(BLOCK))).cast("int")
-    m = m.withColumn("nr", blocks(F.col("n_all") - F.col("n_top"))).withColumn("nb", blocks(F.col("n_top")))
+    blocks = lambda n, w: F.greatest(F.lit(1), F.ceil(n / F.lit(BLOCK)), F.ceil(w / F.lit(BLOCK_BYTES))).cast("int")
+    m = m.withColumn("nr", blocks(F.col("n_all") - F.col("n_top"), F.col("w_all") - F.col("w_top"))).withColumn("nb", blocks(F.col("n_top"), F.col("w_top")))
     m = m.withColumn("at", F.pmod(F.xxhash64("id", "key"), F.when(F.col("rest"), F.col("nr")).otherwise(F.col("nb"))).cast("int"))
     against_big = F.transform(F.sequence(F.lit(0), F.col("nb") - 1), lambda j: F.struct(F.col("at").alias("i"), (F.col("nr") + j).alias("j")))
     against_rest = F.transform(F.sequence(F.lit(0), F.col("nr") - 1), lambda j: F.struct(F.least("at", j).alias("i"), F.greatest("at", j).alias("j")))
@@ -212,7 +213,7 @@ def cross_blocks(members: DataFrame, find) -> DataFrame:
     dealt = m.withColumn("cell", F.explode(F.when(F.col("rest"), F.concat(against_big, against_rest)).otherwise(from_big)))
 
     def compare(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.drop_duplicates("id").reset_index(drop=True)
+        pdf = pdf.drop_duplicates(["id", "load"]).reset_index(drop=True)
         ids = pdf["id"].to_numpy()
         found = np.array(find(list(pdf["load"]), pdf["rest"].to_numpy(), pdf["comp"].to_numpy(), ids), np.int64).reshape(-1, 2)
         x, y = ids[found[:, 0]], ids[found[:, 1]]
@@ -278,8 +279,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold_pct: int = 80, mi
         top = sizes.groupBy("key").agg(F.max_by("comp", F.struct("m", "comp")).alias("top"))
         met = cut(many.join(top, "key").select(F.col("top").alias("key"), "id", "comp").distinct(), "met")
         wanted = full_sets(docs, met.select(F.col("id").alias("doc_id")).distinct(), width)
-        # rows that share an id may differ; any text of theirs links it
-        loaded = met.join(wanted.groupBy("doc_id").agg(F.max("shingles").alias("load")).withColumnRenamed("doc_id", "id"), "id")
+        # rows that share an id may differ, and each of their sets meets the others
+        loaded = met.join(wanted.distinct().select(F.col("doc_id").alias("id"), F.col("shingles").alias("load")), "id")
         found.append(cross_blocks(loaded, exact_links(threshold_pct, bands * ROWS, checks)))
     if found:
         more = found[0] if len(found) == 1 else found[0].union(found[1])
