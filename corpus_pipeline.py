@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from outlyer.llm import decontam, langid, linededup, neardup, packing
-from outlyer.llm.common import cut, fold_of, guarded, table, without
+from outlyer.llm.common import cut, fold_of, guarded, release, table, without, written
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -55,7 +55,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    """The stages in turn; once a stage's result is written, the tables made on the way to it are deleted."""
+    docs, since = table(spark, sf_dir, "documents"), written()
     for name, stage in STAGES[:-1]:
         docs = cut(stage(spark, docs, sf_dir), name)
+        release(since=since, keep=1)
     return STAGES[-1][1](spark, docs, sf_dir)
