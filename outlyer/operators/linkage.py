@@ -6,20 +6,26 @@ import heapq
 import math
 
 import numpy as np
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
-from .families import Family
+from .families import FAMILIES, Family
 from .isolation import distance, preference
 
 
-def capped(ratio2: np.ndarray, family: Family) -> np.ndarray:
-    return np.minimum(ratio2, family.r - family.d)
+def capped(ratio: np.ndarray, family: Family, square: str = "inside") -> np.ndarray:
+    """Residuals over the noise, squared and capped at r - d; with ``square`` "outside" capped first and then squared."""
+    if square not in ("inside", "outside"):
+        raise ValueError(f"unknown place of the square: {square}")
+    most = family.r - family.d
+    return np.minimum(ratio**2, most) if square == "inside" else np.minimum(ratio, most) ** 2
 
 
-def info_cost(x: np.ndarray, family: Family, theta: np.ndarray | None, sigma: float, lam1: float = 1.0, lam2: float = 2.0) -> float:
+def info_cost(x: np.ndarray, family: Family, theta: np.ndarray | None, sigma: float, lam1: float = 1.0, lam2: float = 2.0, square: str = "inside") -> float:
     """Capped squared residuals plus the price of points on a d-manifold and of K parameters."""
     if theta is None:
         return math.inf
-    return float(capped((family.residual(x, theta) / sigma) ** 2, family).sum() + lam1 * family.d * len(x) + lam2 * family.K)
+    return float(capped(family.residual(x, theta) / sigma, family, square).sum() + lam1 * family.d * len(x) + lam2 * family.K)
 
 
 def merge_decision(u: np.ndarray, v: np.ndarray, families: list[Family], sigma: float, lam1: float = 1.0, lam2: float = 2.0) -> tuple[bool, Family | None]:
@@ -45,8 +51,8 @@ def significant(x: np.ndarray, models: list, eps: float, k: float = 3.0, ratio:
     return out
 
 
-def criterion_linkage(x: np.ndarray, models: list, families: list[Family], eps: float, lam1: float = 1.0, lam2: float = 2.0) -> tuple[np.ndarray, dict[int, str]]:
-    """Cluster of each point and each cluster's family. Pairs that share no model are never candidates.
+def criterion_linkage(x: np.ndarray, models: list, families: list[Family], eps: float, lam1: float = 1.0, lam2: float = 2.0, orthogonal: bool = False, counters: dict | None = None) -> tuple[np.ndarray, dict[int, str]]:
+    """Cluster of each point and each cluster's family. Pairs that share no model are candidates only with ``orthogonal``. ``counters`` receives models, edges, merges and refusals.
 
     The edges are taken in order of distance; a pair of clusters that is refused is tried again only after one
     of them has grown. Clusters too small for any family merge when one sampled model explains all their points.
@@ -55,8 +61,9 @@ def criterion_linkage(x: np.ndarray, models: list, families: list[Family], eps:
     p = preference(x, models, eps, "gauss05")
     holds = p > 0
     d = distance(p, p, "tanimoto")
-    a, b = np.nonzero(np.triu(d < 1 - 1e-9, 1))
+    a, b = np.nonzero(np.triu(d < (1.5 if orthogonal else 1 - 1e-9), 1))
     order = np.lexsort((b, a, d[a, b]))
+    count = {"models": len(models), "edges": len(a), "merges": 0, "refusals": 0}
     near: dict[int, dict[int, float]] = {i: {} for i in range(len(x))}
     heap = []
     for i, j, w in zip(a[order].tolist(), b[order].tolist(), d[a[order], b[order]].tolist(), strict=True):
@@ -74,6 +81,7 @@ def criterion_linkage(x: np.ndarray, models: list, families: list[Family], eps:
         ok, family = merge_decision(x[points[i]], x[points[j]], families, sigma, lam1, lam2)
         if family is None:
             ok = bool((shared[i] & shared[j]).any())
+        count["merges" if ok else "refusals"] += 1
         if not ok:
             near[i].pop(j)
             near[j].pop(i)
@@ -93,6 +101,8 @@ def criterion_linkage(x: np.ndarray, models: list, families: list[Family], eps:
         for other, value in merged.items():
             near[other][new] = value
             heapq.heappush(heap, (value, other, new))
+    if counters is not None:
+        counters.update(count)
     return _labelled(points, len(x), family_of)
 
 
@@ -105,6 +115,97 @@ def _labelled(points: dict[int, list[int]], n: int, family_of: dict[int, str]) -
     return label, names
 
 
+def cluster_table(x: np.ndarray, label: np.ndarray, names: dict[int, str], families: list[Family], eps: float, lam1: float = 1.0, lam2: float = 2.0) -> list[tuple]:
+    """(cluster, family, theta, n, cost, outlier): the cheapest family of each cluster; an outlier has no more points than a family needs and one."""
+    sigma, out = eps / math.sqrt(-math.log(0.05)), []
+    for c in np.unique(label).tolist():
+        rows = x[label == c]
+        able = [(info_cost(rows, f, t, sigma, lam1, lam2), f, t) for f in families if len(rows) >= f.s for t in (f.fit(rows),) if t is not None]
+        if able:
+            named = [a for a in able if a[1].name == names.get(c)]
+            cost, f, theta = min(named or able, key=lambda a: a[0])
+            theta = refined(rows, f, theta, sigma)
+            out.append((c, f.name, theta.tolist(), len(rows), info_cost(rows, f, theta, sigma, lam1, lam2), int(len(rows) <= f.s + 1)))
+        else:
+            out.append((c, None, None, len(rows), math.inf, 1))
+    return out
+
+
+def refined(x: np.ndarray, family: Family, theta: np.ndarray, sigma: float, steps: int = 3) -> np.ndarray:
+    """Gauss-Newton steps on the capped residuals from a least-squares fit; a step that does not lower the cost ends them. Subspaces stay as fitted, hyperplanes keep unit normals."""
+    best, cost = theta, info_cost(x, family, theta, sigma)
+    if family.name not in FAMILIES:
+        return best
+    for _ in range(steps):
+        r = family.residual(x, best) / sigma
+        use = r**2 < family.r - family.d
+        if use.sum() < len(best):
+            break
+        width = 1e-6 * np.maximum(1.0, np.abs(best))
+        slope = np.column_stack([(family.residual(x, best + np.where(np.arange(len(best)) == j, width, 0)) / sigma - r) / width[j] for j in range(len(best))])[use]
+        step = np.linalg.lstsq(slope, -r[use], rcond=None)[0]
+        trial = best + step
+        if family.residual is FAMILIES["line"].residual:
+            trial = trial / max(np.linalg.norm(trial[:-1]), 1e-12)
+        new = info_cost(x, family, trial, sigma)
+        if not np.isfinite(new) or new >= cost:
+            break
+        best, cost = trial, new
+    return best
+
+
+def line_moments(points: DataFrame, by: list[str]) -> DataFrame:
+    """Sums that fix the best line of each group; sums of two groups add up to those of their union."""
+    x, y = F.col("x0"), F.col("x1")
+    return points.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), F.sum(x).alias("sx"), F.sum(y).alias("sy"), F.sum(x * x).alias("sxx"), F.sum(y * y).alias("syy"), F.sum(x * y).alias("sxy"))
+
+
+def line_angle() -> Column:
+    """Direction of the best line from the sums of :func:`line_moments`."""
+    n = F.col("n")
+    return 0.5 * F.atan2(2 * (F.col("sxy") / n - F.col("sx") * F.col("sy") / n / n), (F.col("sxx") / n - F.col("sx") * F.col("sx") / n / n) - (F.col("syy") / n - F.col("sy") * F.col("sy") / n / n))
+
+
+def line_costs(points: DataFrame, by: list[str], eps: float, lam1: float = 1.0, lam2: float = 2.0) -> DataFrame:
+    """The criterion of :func:`info_cost` for the best line of each group: two passes, one for moments and one for residuals."""
+    fits = line_moments(points, by).withColumn("w", line_angle()).select(*by, "n", (F.col("sx") / F.col("n")).alias("mx"), (F.col("sy") / F.col("n")).alias("my"), "w")
+    off = -F.sin("w") * (F.col("x0") - F.col("mx")) + F.cos("w") * (F.col("x1") - F.col("my"))
+    q = F.least(off * off * (-math.log(0.05) / eps**2), F.lit(1.0))
+    return points.join(fits, by).groupBy(*by, "n").agg((F.sum(q) + lam1 * F.first("n") + lam2 * 2).alias("cost"))
+
+
+def contingency(df: DataFrame, cluster: str, truth: str) -> DataFrame:
+    return df.groupBy(cluster, truth).agg(F.count(F.lit(1)).alias("n"))
+
+
+def matched_error(table: DataFrame, cluster: str, truth: str) -> float:
+    """Misclassification error from :func:`contingency`, whose rows are as many as pairs of clusters and classes."""
+    rows = table.collect()
+    a, b = sorted({r[cluster] for r in rows}), sorted({r[truth] for r in rows})
+    cost = np.zeros((len(a), len(b)))
+    for r in rows:
+        cost[a.index(r[cluster]), b.index(r[truth])] = r["n"]
+    cost = cost if len(a) <= len(b) else cost.T
+    return 1 - cost[np.arange(len(cost)), assignment(-cost)].sum() / cost.sum()
+
+
+def linkage_by(points: DataFrame, key: str, families: list[Family], eps: float, multiple: int = 2, seed: int = 1) -> DataFrame:
+    """Criterion linkage of every data set of a table: rows of (key, pid, x) to (key, pid, cluster, family). A data set is one task; sets are dealt over the cluster."""
+    import pandas as pd
+
+    from .families import sample_models
+
+    def run(k, pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("pid")
+        x = np.array(pdf["x"].tolist(), float)
+        models = [(f, t) for f in families for t in sample_models(x, f, multiple * len(x), seed)]
+        label, names = criterion_linkage(x, significant(x, models, eps) or models, families, eps)
+        return pd.DataFrame({key: pdf[key], "pid": pdf["pid"], "cluster": label, "family": [names.get(c) for c in label]})
+
+    kind = dict(points.dtypes)[key]
+    return points.select(key, F.col("pid").cast("long").alias("pid"), "x").groupBy(key).applyInPandas(run, f"{key} {kind}, pid long, cluster long, family string")
+
+
 def centroid_linkage(p: np.ndarray) -> np.ndarray:
     """Clusters represented by the element-wise minimum of their members; merges while a model explains both."""
     points = {i: [i] for i in range(len(p))}

@@ -68,6 +68,138 @@ def shapes(kind: str, seed: int = 1, per: int = 50, outliers: float = 0.5, noise
     return np.vstack([x, rng.uniform(lo, hi, (n_out, 2))]), np.append(truth, np.zeros(n_out, int))
 
 
+def _structures() -> list[tuple]:
+    """(kind, structure, points, form, a, b, c, e): segments from (a, b) along (c, e), rims of radius c round (a, b), parabolas b + c (t - e)^2 over a + t."""
+    rows: list[tuple] = []
+    for k in (3, 4):
+        for j in range(k):
+            n = 25 if k == 3 and j == 2 else 50
+            rows.append((f"stair{k}", j + 1, n, "segment", j / k, (j + 0.5) / k, 1 / k, 0.0) if j % 2 == 0 else (f"stair{k}", j + 1, n, "segment", (j + 0.5) / k, j / k, 0.0, 1 / k))
+    for k in (5, 11):
+        for j in range(k):
+            w = math.pi * j / k
+            rows.append((f"star{k}", j + 1, 50, "segment", round(0.5 - 0.5 * math.cos(w), 6), round(0.5 - 0.5 * math.sin(w), 6), round(math.cos(w), 6), round(math.sin(w), 6)))
+    for k in (3, 4, 5):
+        for j in range(k):
+            w = 2 * math.pi * j / k
+            rows.append((f"circle{k}", j + 1, 25 if k == 3 and j == 2 else 50, "rim", round(0.5 + 0.22 * math.cos(w), 6), round(0.5 + 0.22 * math.sin(w), 6), round(0.12 + 0.16 * (j + 1) / k, 6), 0.0))
+    rows += [("mixed", 1, 50, "segment", 0.0, 0.2, 1.0, 0.3), ("mixed", 2, 50, "rim", 0.6, 0.65, 0.2, 0.0), ("mixed", 3, 50, "parabola", 0.0, 0.1, 3.0, 0.5)]
+    return rows
+
+
+STRUCTURES = _structures()
+
+
+def _slots(outliers: float = 0.5) -> list[tuple]:
+    """One row a point: its number, kind, structure (0: outlier) and the structure's form. The sets' sizes are fixed, whatever the table's."""
+    out, kinds = [], dict.fromkeys(r[0] for r in STRUCTURES)
+    for kind in kinds:
+        own = [(kind, r[1], *r[3:]) for r in STRUCTURES if r[0] == kind for _ in range(r[2])]
+        out += own + [(kind, 0, "outlier", 0.0, 0.0, 0.0, 0.0)] * round(len(own) * outliers / (1 - outliers))
+    return [(i, *r) for i, r in enumerate(out)]
+
+
+def planted_sets(spark: SparkSession, sf_dir: str, outliers: float = 0.5, noise: float = 0.01) -> DataFrame:
+    """All planar sets at once: kind, pid, x0, x1, truth (0: outlier), x. The k-th point draws from the key of the k-th row of ``lineitem``."""
+    from pyspark.sql import Window
+
+    slots = spark.createDataFrame(_slots(outliers), "pid long, kind string, truth int, form string, a double, b double, c double, e double")
+    n = slots.count()
+    keys = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber").orderBy("l_orderkey", "l_linenumber").limit(n)  # as many rows as the sets have
+    keys = keys.withColumn("pid", (F.row_number().over(Window.orderBy("l_orderkey", "l_linenumber")) - 1).cast("long"))
+    ids = ["l_orderkey", "l_linenumber"]
+    t, w = u01("set-t", *ids), 2 * math.pi * u01("set-t", *ids)
+    x = F.when(F.col("form") == "segment", F.col("a") + F.col("c") * t).when(F.col("form") == "rim", F.col("a") + F.col("c") * F.cos(w)).otherwise(F.col("a") + t)
+    y = F.when(F.col("form") == "segment", F.col("b") + F.col("e") * t).when(F.col("form") == "rim", F.col("b") + F.col("c") * F.sin(w)).otherwise(F.col("b") + F.col("c") * F.pow(t - F.col("e"), F.lit(2)))
+    drawn = F.broadcast(slots).join(keys, "pid").select("kind", "pid", "truth", (x + noise * normal01("set-x", *ids)).alias("x0"), (y + noise * normal01("set-y", *ids)).alias("x1"), u01("set-ox", *ids).alias("ox"), u01("set-oy", *ids).alias("oy"))
+    real = F.col("truth") > 0
+    box = drawn.where(real).groupBy("kind").agg(F.min("x0").alias("lx"), F.max("x0").alias("hx"), F.min("x1").alias("ly"), F.max("x1").alias("hy"))
+    out = drawn.join(F.broadcast(box), "kind")
+    out = out.withColumn("x0", F.when(real, F.col("x0")).otherwise(F.col("lx") + F.col("ox") * (F.col("hx") - F.col("lx")))).withColumn("x1", F.when(real, F.col("x1")).otherwise(F.col("ly") + F.col("oy") * (F.col("hy") - F.col("ly"))))
+    return out.select("kind", "pid", "x0", "x1", "truth").withColumn("x", F.array("x0", "x1"))
+
+
+def sets_sql(outliers: float = 0.5, noise: float = 0.01) -> str:
+    """The same sets as DuckDB common table expressions; the last is ``sets``."""
+    rows = ", ".join(f"('{r[0]}', {i}, {r[1]}, {r[2]}, '{r[3]}', " + ", ".join(f"{v!r}::double" for v in r[4:]) + ")" for i, r in enumerate(STRUCTURES))
+    ids = ("l_orderkey", "l_linenumber")
+    t, normal = u01_sql("set-t", *ids), lambda p: normal01_sql(p, *ids)
+    return f"""forms(kind, place, truth, n, form, a, b, c, e) as (values {rows}),
+own as (select kind, place, truth, form, a, b, c, e, unnest(range(n)) as i from forms),
+loose as (select kind, unnest(range(m)) as i from (select kind, round(sum(n) * {outliers} / (1 - {outliers}))::bigint as m from forms group by kind)),
+slots as (select row_number() over (order by first_place, is_out, place, i) - 1 as pid, kind, truth, form, a, b, c, e from (
+  select kind, place, 0 as is_out, i, truth, form, a, b, c, e from own union all select kind, 0, 1, i, 0, 'outlier', 0, 0, 0, 0 from loose) join (select kind, min(place) as first_place from forms group by kind) using (kind)),
+keyed as (select *, row_number() over (order by l_orderkey, l_linenumber) - 1 as pid from (select l_orderkey, l_linenumber from lineitem order by l_orderkey, l_linenumber limit (select count(*) from slots))),
+drawn as (select kind, pid, truth, case form when 'segment' then a + c * {t} when 'rim' then a + c * cos({2 * math.pi!r} * {t}) else a + {t} end + {noise} * {normal('set-x')} as x0,
+  case form when 'segment' then b + e * {t} when 'rim' then b + c * sin({2 * math.pi!r} * {t}) else b + c * pow({t} - e, 2) end + {noise} * {normal('set-y')} as x1, {u01_sql('set-ox', *ids)} as ox, {u01_sql('set-oy', *ids)} as oy from slots join keyed using (pid)),
+box as (select kind, min(x0) as lx, max(x0) as hx, min(x1) as ly, max(x1) as hy from drawn where truth > 0 group by kind),
+sets as (select kind, pid, truth, case when truth > 0 then x0 else lx + ox * (hx - lx) end as x0, case when truth > 0 then x1 else ly + oy * (hy - ly) end as x1 from drawn join box using (kind))"""
+
+
+def two_view_sets(spark: SparkSession, sf_dir: str, count: int = 19, structures: int = 2, per: int = 40, mismatches: float = 0.3, noise: float = 0.002) -> DataFrame:
+    """Correspondences of ``count`` scenes of planes and as many of rigid motions: kind, pid, truth, x (x1, y1, x2, y2).
+
+    The first view of a point, its depth and its mismatch are draws from the key of an ``orders`` row; a scene's maps are draws from its number.
+    """
+    import pandas as pd
+
+    size = structures * per + round(structures * per * mismatches / (1 - mismatches))
+    total = 2 * count * size
+    keys = load(spark, sf_dir, "orders").select("o_orderkey").orderBy("o_orderkey").limit(total)
+    have = keys.count()
+    at = spark.range(total).select("id", F.pmod("id", F.lit(max(1, have))).alias("k"), F.floor(F.col("id") / size).cast("int").alias("scene"), F.pmod("id", F.lit(size)).cast("int").alias("i"))
+    from pyspark.sql import Window
+
+    numbered = keys.withColumn("k", (F.row_number().over(Window.orderBy("o_orderkey")) - 1).cast("long"))
+    draws = F.array(*[u01(f"view{j}", "o_orderkey", "id") for j in range(6)])
+    rows = at.join(F.broadcast(numbered), "k").select("id", "scene", "i", draws.alias("u"))
+
+    def scene(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("i")
+        no = int(pdf["scene"].iloc[0])
+        rng = np.random.Generator(np.random.PCG64([77, no]))
+        u = np.array(pdf["u"].tolist())
+        truth = np.where(pdf["i"] < structures * per, pdf["i"] // per + 1, 0).astype("int32")
+        x = np.zeros((len(pdf), 4))
+        for j in range(1, structures + 1):
+            own = truth == j
+            if no < count:
+                p = u[own, :2] * 0.5 + rng.random(2) * 0.5
+                h = np.eye(3) + rng.normal(0, 0.25, (3, 3)) * np.array([[1, 1, 1], [1, 1, 1], [0.3, 0.3, 0]])
+                q = np.column_stack([p, np.ones(len(p))]) @ h.T
+                x[own] = np.hstack([p, q[:, :2] / q[:, 2:]])
+            else:
+                p = u[own, :3] * 2 - 1 + [*rng.uniform(-0.5, 0.5, 2), 5]
+                w = rng.normal(0, 0.3, 3)
+                k, angle, c = np.array([[0, -w[2], w[1]], [w[2], 0, -w[0]], [-w[1], w[0], 0]]), np.linalg.norm(w), p.mean(axis=0)
+                q = (p - c) @ (np.eye(3) + math.sin(angle) / angle * k + (1 - math.cos(angle)) / angle**2 * k @ k).T + c + rng.normal(0, 0.4, 3)
+                x[own] = np.hstack([p[:, :2] / p[:, 2:], q[:, :2] / q[:, 2:]])
+        real = truth > 0
+        x[real] += rng.normal(0, noise, (real.sum(), 4))
+        lo, hi = x[real].min(axis=0), x[real].max(axis=0)
+        x[~real] = lo + u[~real, 2:6] * (hi - lo)
+        kind = f"planes{no + 1:02d}" if no < count else f"motions{no - count + 1:02d}"
+        return pd.DataFrame({"kind": kind, "pid": pdf["id"], "truth": truth, "x": list(x)})
+
+    return rows.groupBy("scene").applyInPandas(scene, "kind string, pid long, truth int, x array<double>")
+
+
+def trajectory_sets(spark: SparkSession, sf_dir: str, motions: int = 3, per: int = 60, noise: float = 0.01, outliers: float = 0.2) -> DataFrame:
+    """``embeddings`` as bases of affine subspaces, the last motion with two directions only, and other vectors as outliers: kind, pid, truth, x."""
+    import pandas as pd
+
+    total = motions * per
+    need = 4 * motions + int(outliers * total)
+    vectors = load(spark, sf_dir, "embeddings").orderBy("vec_id").limit(need).select("vec_id", F.transform("embedding", lambda v: v.cast("double")).alias("e"), F.lit("trajectories").alias("kind"))  # fixed number of rows
+
+    def make(pdf: pd.DataFrame) -> pd.DataFrame:
+        v = np.array(pdf.sort_values("vec_id")["e"].tolist())
+        x, truth = trajectories(v, motions, per, noise, outliers)
+        return pd.DataFrame({"kind": "trajectories", "pid": np.arange(len(x)), "truth": truth.astype("int32"), "x": list(x)})
+
+    return vectors.groupBy("kind").applyInPandas(make, "kind string, pid long, truth int, x array<double>")
+
+
 def two_views(kind: str = "planes", seed: int = 1, structures: int = 2, per: int = 60, mismatches: float = 0.3, noise: float = 0.002) -> tuple[np.ndarray, np.ndarray]:
     """Planted correspondences (x1, y1, x2, y2): by homographies (``planes``) or rigid motions seen by a camera (``motions``)."""
     rng = np.random.Generator(np.random.PCG64([seed, len(kind)]))

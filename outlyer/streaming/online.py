@@ -31,10 +31,12 @@ class AdaptiveHistogramForest:
     box. Forgetting lowers heights and merges a node that falls under the same bound. ``omega`` > ``eta``.
     """
 
-    def __init__(self, omega: int = 2048, trees: int = 32, eta: int = 32, seed: int = 1, clamp: bool = True):
+    def __init__(self, omega: int = 2048, trees: int = 32, eta: int = 32, seed: int = 1, clamp: bool = True, forget: str = "buffer"):
         if omega <= eta:
             raise ValueError("omega must exceed eta")
-        self.omega, self.eta, self.clamp = omega, eta, clamp
+        if forget not in ("buffer", "sampled"):
+            raise ValueError(f"unknown way to forget: {forget}")
+        self.omega, self.eta, self.clamp, self.forget, self.seen = omega, eta, clamp, forget, 0
         self.limit = math.log2(omega / eta)
         self.window: deque = deque()
         self.rng = np.random.Generator(np.random.PCG64(seed))
@@ -42,13 +44,18 @@ class AdaptiveHistogramForest:
 
     def step(self, x: np.ndarray) -> float:
         x = np.asarray(x, float)
-        self.window.append(x)
+        self.seen += 1
         for t in range(len(self.roots)):
             self._learn(t, x)
-        if len(self.window) > self.omega:
-            gone = self.window.popleft()
-            for t in range(len(self.roots)):
-                self._forget(t, gone)
+        if self.forget == "buffer":
+            self.window.append(x)
+            if len(self.window) > self.omega:
+                gone = self.window.popleft()
+                for t in range(len(self.roots)):
+                    self._forget(t, gone)
+        elif self.seen > self.omega:  # no buffer: each tree forgets a point drawn from its own histogram
+            for t, root in enumerate(self.roots):
+                self._forget(t, self._drawn(root))
         return 2.0 ** (-float(np.mean([self.depth(r, x) for r in self.roots])) / self.limit)
 
     def _learn(self, t: int, x: np.ndarray) -> None:
@@ -93,6 +100,22 @@ class AdaptiveHistogramForest:
                 return
             node, depth = node.kids[int(x[node.q] > node.cut)], depth + 1
 
+    def _drawn(self, node: _Cell) -> np.ndarray:
+        """A point of a leaf, leaves by their heights."""
+        while node.kids is not None:
+            a, b = (k.h for k in node.kids)
+            node = node.kids[int(self.rng.random() * (a + b) >= a)] if a + b > 0 else node.kids[0]
+        return self.rng.uniform(node.lo, node.hi)
+
+    def size(self) -> int:
+        """Nodes of all trees and points of the buffer: what the state grows with."""
+        nodes, todo = 0, [r for r in self.roots if r is not None]
+        while todo:
+            n = todo.pop()
+            nodes += 1
+            todo += n.kids or []
+        return nodes + len(self.window)
+
     def depth(self, node: _Cell, x: np.ndarray) -> float:
         k = 0
         while node.kids is not None:
@@ -106,7 +129,7 @@ def expected_depth(omega: int, eta: int) -> tuple[int, int]:
 
 
 class HalfSpaceTrees:
-    """Complete trees of mid-point cuts on scaled data; a score from the mass of the previous window, low mass is anomalous."""
+    """Complete trees of mid-point cuts on scaled data; a score from the mass of the previous window, low mass is anomalous. Until a first window is full every score is 0.5."""
 
     def __init__(self, d: int, window: int = 250, trees: int = 32, depth: int = 15, seed: int = 1):
         rng = np.random.Generator(np.random.PCG64(seed))
@@ -132,10 +155,14 @@ class HalfSpaceTrees:
                 node = node * 2 + int(x[q] >= mid)
                 (lo if x[q] >= mid else hi)[q] = mid
             total += score
+        early = self.seen < self.window
         self.seen += 1
         if self.seen % self.window == 0:
             self.old, self.now = self.now, [{} for _ in range(self.trees)]
-        return 1 / (1 + total / self.trees / self.window)
+        return 0.5 if early else 1 / (1 + total / self.trees / self.window)
+
+    def size(self) -> int:
+        return sum(map(len, self.now)) + sum(map(len, self.old))
 
 
 class WindowAxisForest:
@@ -164,6 +191,25 @@ class WindowAxisForest:
         return score
 
 
+class PeriodicAxisForest:
+    """The offline forest retrained after every ``omega`` points, without a look at drift."""
+
+    def __init__(self, omega: int = 2048, trees: int = 32, psi: int = 256, seed: int = 1):
+        self.omega, self.trees, self.psi, self.seed = omega, trees, psi, seed
+        self.buffer: list[np.ndarray] = []
+        self.forest, self.built = None, 0
+
+    def step(self, x: np.ndarray) -> float:
+        from ..operators.isolation import Forest
+
+        self.buffer.append(np.asarray(x, np.float32))
+        if len(self.buffer) >= (self.omega if self.built else min(self.psi, self.omega)):
+            self.built += 1
+            self.forest = Forest("axis", min(self.psi, len(self.buffer)), seed=self.seed + self.built).fit(np.array(self.buffer), self.trees)
+            self.buffer = []
+        return 0.5 if self.forest is None else float(self.forest.score(np.asarray(x, np.float32)[None])[0])
+
+
 class RandomCutForest:
     """Trees cut in proportion to side lengths, with insertion and deletion; the score is the largest displacement ratio on the path."""
 
@@ -286,6 +332,7 @@ KERNELS = {
     "adaptive": lambda d, seed, **k: AdaptiveHistogramForest(seed=seed, **k),
     "half_space": lambda d, seed, **k: HalfSpaceTrees(d, seed=seed, **k),
     "window_axis": lambda d, seed, **k: WindowAxisForest(seed=seed, **k),
+    "periodic_axis": lambda d, seed, **k: PeriodicAxisForest(seed=seed, **k),
     "cut_forest": lambda d, seed, **k: RandomCutForest(seed=seed, **k),
     "projections": lambda d, seed, **k: ProjectionHistograms(d, seed=seed, **k),
 }
