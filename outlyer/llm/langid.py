@@ -17,6 +17,7 @@ learned from; with no labelled rows everything is ``und``; lang, source and ids
 from __future__ import annotations
 
 import re
+from collections import Counter
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -61,13 +62,17 @@ class CharModels:
 
     @classmethod
     def fit(cls, texts: dict[str, list[str]], discount: float = 0.75) -> CharModels:
-        """Interpolated Kneser-Ney: the highest order counts occurrences, lower orders count distinct left contexts."""
+        """Interpolated Kneser-Ney: the highest order counts occurrences, lower orders count distinct left contexts.
+
+        No context crosses a word, so each different word is read once and counts as often as it occurs.
+        """
         langs = sorted(texts)
-        words = {lang: [w for t in texts[lang] for w in _WORD.findall(t.lower())] for lang in langs}
         raw = {}
         for lang in langs:
-            codes, place = _codes(words[lang] or ["a"])
-            raw[lang] = (place, _hashes(codes, place))
+            words = Counter(w for t in texts[lang] for w in _WORD.findall(t.lower())) or Counter(["a"])
+            codes, place = _codes(list(words))
+            times = np.repeat(np.fromiter(words.values(), np.float64, len(words)), np.diff(np.append(np.flatnonzero(place == 0), len(place))))
+            raw[lang] = (place, _hashes(codes, place), times)
         grams, probs, weights = [], [], []
         alphabet = max(2, len(np.unique(np.concatenate([raw[x][1][0] for x in langs]))))
         for n in range(1, ORDER + 1):
@@ -77,15 +82,15 @@ class CharModels:
             probs.append(np.zeros((len(union), len(langs)), np.float64))
             weights.append(np.ones((len(union), len(langs)), np.float64))
         for li, lang in enumerate(langs):
-            place, h = raw[lang]
+            place, h, times = raw[lang]
             for n in range(1, ORDER + 1):
                 ok = place >= max(n - 1, 1)  # the start mark itself is never predicted
-                gram = h[n - 1][ok]
+                gram, often = h[n - 1][ok], times[ok]
                 if n < ORDER:  # continuation counts, but what follows the start has no left context and counts by itself
                     at_start = place[ok] == n - 1
                     longer = gram[~at_start][np.unique(h[n][ok][~at_start], return_index=True)[1]]  # a longer n-gram has one ending
-                    gram = np.concatenate([longer, gram[at_start]])
-                count = np.bincount(np.searchsorted(grams[n - 1], gram), minlength=len(grams[n - 1])).astype(np.float64)
+                    gram, often = np.concatenate([longer, gram[at_start]]), np.concatenate([np.ones(len(longer)), often[at_start]])
+                count = np.bincount(np.searchsorted(grams[n - 1], gram), weights=often, minlength=len(grams[n - 1]))
                 if n == 1:
                     total = count.sum()
                     kinds = (count > 0).sum()
