@@ -112,7 +112,7 @@ class CharModels:
                 weights[n - 2][has, li] = discount * kinds[has] / total[has]
                 probs[n - 1][seen, li] = np.maximum(count[seen] - discount, 0) / total[context[seen]] + weights[n - 2][context[seen], li] * probs[n - 2][shorter[seen], li]
         floor = 1e-7
-        return cls(langs, grams, [np.log2(p, where=p > 0, out=np.full_like(p, np.nan)) for p in probs], [np.log2(np.maximum(w, floor)) for w in weights])
+        return cls(langs, grams, [np.log2(p, where=p > 0, out=np.full_like(p, np.nan)).astype(np.float32) for p in probs], [np.log2(np.maximum(w, floor)).astype(np.float32) for w in weights])
 
     def word_bits(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Per word: total bits under each language, and the number of predicted marks (letters and the end)."""
@@ -212,6 +212,7 @@ def rejection_levels(labelled: DataFrame, model: CharModels, texts: dict[str, li
 
     rated = labelled.where("lang is not null and text is not null").select("lang", "text").mapInArrow(run, "lang string, rate double")
     found = {r["lang"]: r for r in rated.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("rate", quantile, 100_000).alias("level")).collect()}
+    shared.destroy()  # workers hold one model at a time
     out = np.full(len(model.langs), np.inf)
     for i, lang in enumerate(model.langs):
         n, level = (found[lang]["n"], found[lang]["level"]) if lang in found else (0, 0.0)
@@ -224,7 +225,7 @@ def rejection_levels(labelled: DataFrame, model: CharModels, texts: dict[str, li
     return out
 
 
-def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000, words: int = 300_000) -> tuple[np.ndarray, np.ndarray]:
+def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000, words: int = 100_000) -> tuple[np.ndarray, np.ndarray]:
     """Rates of many texts, about ``chars`` characters at a time; the word table starts anew beyond ``words``."""
     rates, counts, at = [], [], 0
     while at < len(texts):
