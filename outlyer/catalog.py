@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .plans import experiments, methods, relational
+from .plans import dataflow, experiments, methods, relational
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,8 +16,8 @@ def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return relational.QUERIES | methods.QUERIES | experiments.QUERIES
+    return relational.QUERIES | methods.QUERIES | experiments.QUERIES | dataflow.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return relational.SQL | methods.SQL | experiments.SQL
+    return relational.SQL | methods.SQL | experiments.SQL | dataflow.SQL

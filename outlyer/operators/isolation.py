@@ -176,10 +176,10 @@ class Forest:
 
     def _hashed(self, split: tuple, x: Sparse, rows: np.ndarray) -> np.ndarray:
         """Branch of each row from its non-zero entries alone: what a draw does to a model is a number, whether a row has the model or not."""
-        rng = self._rng(*split)
         at, begin = x.entries(rows)
         cols, vals = x.cols[at], x.vals[at]
         none = np.iinfo(np.int64).max
+        rng = self._rng(*split) if self.exact or not self.b else None
         if self.exact:  # rounds of one draw a model; the place of the first accepted draw is the hash
             hit = np.full(len(cols), none)
             for turn in range(12):
@@ -187,10 +187,14 @@ class Forest:
                 fresh = (hit == none) & (vals > threshold[cols])
                 hit[fresh] = place[cols[fresh]]
             fold = rng.integers(self.b, size=12 * x.m + 1) if self.b else np.append(np.tile(np.arange(x.m), 12), x.m)
-        elif self.b:  # thresholds binarise, the first active model in a random order is folded to b branches; low bits of its place fold it
-            draws = rng.random((2, x.m))
-            place = (draws[1] * 2.0**52).astype(np.int64)
-            hit = np.where(vals > draws[0][cols], place[cols], none)
+        elif self.b:  # thresholds binarise, the first active model in a random order is folded to b branches by the low bits of its place
+            h = (cols.astype(np.uint64) + np.uint64(hash((self.seed, *split)) & (2**64 - 1))) * np.uint64(0x9E3779B97F4A7C15)
+            h ^= h >> np.uint64(31)
+            h *= np.uint64(0xBF58476D1CE4E5B9)
+            h ^= h >> np.uint64(29)
+            h *= np.uint64(0x94D049BB133111EB)
+            h ^= h >> np.uint64(32)
+            hit = np.where(vals > (h >> np.uint64(32)).astype(np.float64) / 2.0**32, (h & np.uint64(0xFFFFFFFF)).astype(np.int64), none)
             fold = None
         else:
             threshold, place = rng.random(x.m), rng.permutation(x.m)
@@ -201,7 +205,7 @@ class Forest:
         if len(some):
             first[some] = np.minimum.reduceat(hit, begin[some])
         if fold is None:
-            return np.where(first == none, rng.integers(self.b), first % self.b)
+            return np.where(first == none, hash((self.seed, *split, 1)) % self.b, first % self.b)
         return fold[np.where(first == none, len(fold) - 1, first)]
 
     def _route(self, split: tuple, x, rows: np.ndarray) -> np.ndarray:

@@ -25,9 +25,16 @@ def vocabulary(df: DataFrame, token_col: str, size: int) -> DataFrame:
 
 
 def presence_features(df: DataFrame, token_col: str, vocab: DataFrame) -> DataFrame:
-    """doc rows with ``feats``: sorted ids of the vocabulary's tokens they hold. The vocabulary has a fixed size and is broadcast."""
-    long = df.select("doc_id", F.explode(token_col).alias("token")).join(F.broadcast(vocab.select("token", "feat")), "token")
-    return df.join(long.groupBy("doc_id").agg(F.sort_array(F.collect_set("feat")).alias("feats")), "doc_id", "left").withColumn("feats", F.coalesce("feats", F.array().cast("array<int>")))
+    """doc rows with ``feats``: sorted ids of the vocabulary's tokens they hold.
+
+    The vocabulary has a fixed size, so it goes into every row as one literal array and a row finds its ids by itself: no explode, no shuffle.
+    """
+    words = [r["token"] for r in vocab.orderBy("feat").collect()]  # a fixed number of tokens
+    if not words:
+        return df.withColumn("feats", F.array().cast("array<int>"))
+    place = F.create_map(*[F.lit(v) for i, w in enumerate(words) for v in (w, i + 1)])
+    held = F.array_intersect(token_col, F.array(*[F.lit(w) for w in words]))
+    return df.withColumn("feats", F.array_sort(F.transform(held, lambda w: F.element_at(place, w))))
 
 
 class SoftmaxBooster:
@@ -123,10 +130,104 @@ def fit_booster(df: DataFrame, label: str, size: int, most: int = 4000, **how) -
 
 
 def threshold_of(scores: DataFrame, fpr: float, col: str = "score") -> DataFrame:
-    """One row ``tau``: the order statistic with a share of at most ``fpr`` strictly below it."""
-    n = scores.count()
-    k = int(fpr * n)
-    return scores.orderBy(col).limit(k + 1).agg(F.max(col).alias("tau"))
+    """One row ``tau``: the order statistic with a share of at most ``fpr`` strictly below it.
+
+    The exact order statistic by aggregation: an approximate percentile brackets it, one pass counts what lies under the
+    bracket, and only the values inside it are counted one by one, so no share of the table is sorted in one task.
+    """
+    low, high = max(0.0, fpr - 0.001), min(1.0, fpr + 0.001)
+    scores = scores.where(F.col(col).isNotNull() & ~F.isnan(col))
+    around = scores.agg(F.count(F.lit(1)).alias("n"), F.percentile_approx(col, [low, high], 10_000).alias("p"), F.min(col).alias("lo")).first()
+    if not around["n"]:
+        return scores.sparkSession.createDataFrame([(None,)], "tau double")
+    rank = min(int(fpr * around["n"]), around["n"] - 1)
+    lo, hi = (around["lo"] if low == 0 else around["p"][0]), around["p"][1]
+    while True:
+        inside = scores.where(F.col(col).between(lo, hi)).groupBy(F.col(col).alias("v")).agg(F.count(F.lit(1)).alias("c"))
+        under = scores.where(F.col(col) < lo).count()
+        upto = inside.withColumn("upto", F.sum("c").over(Window.orderBy("v")) + under)  # the values of a narrow bracket
+        found = upto.where(F.col("upto") > rank).agg(F.min("v").alias("tau"))
+        if under <= rank and found.first()["tau"] is not None:
+            return found
+        lo, hi = around["lo"], float("inf")  # the approximation missed
+
+
+def relabel_errors(df: DataFrame, truth: str, predicted: str) -> DataFrame:
+    """The other reading of an evaluation: known rows that the plain classifier gets wrong count as novel."""
+    return df.withColumn("class", F.when(F.col(truth) == F.col(predicted), F.col(truth)).otherwise(F.lit(NOVEL)))
+
+
+def ratio_predict(ratios: DataFrame, least: float) -> DataFrame:
+    """The nearest-neighbour baseline's decision: novel where the ratio lies under ``least``."""
+    return ratios.withColumn("novel", (F.col("ratio") < least).cast("int"))
+
+
+def folds_scored(df: DataFrame, label: str, size: int, folds: int = 10, most: int = 4000, **how) -> DataFrame:
+    """doc_id, label, fold, z, names: every row scored by the booster that has not seen its fold, and the class names of z.
+
+    ``df`` has doc_id, the label, feats and fold. Boosters are fitted in parallel, one task a fold, on at most ``most``
+    labelled rows drawn once; rows are then scored by one map with the boosters broadcast.
+    """
+    spark = df.sparkSession
+    rows = df.where(F.col(label).isNotNull()).orderBy(u01("boost", "doc_id"), "doc_id").limit(most).select("feats", label, "fold").collect()
+    held = spark.sparkContext.broadcast(([list(r["feats"]) for r in rows], [r[label] for r in rows], np.array([r["fold"] for r in rows])))
+
+    def fit(frames):
+        import pickle
+
+        feats, labels, fold = held.value
+        for pdf in frames:
+            for f in pdf["fold"]:
+                use = np.flatnonzero(fold != f)
+                made = SoftmaxBooster(**how).fit(dense([feats[i] for i in use], size), [labels[i] for i in use]) if len(use) else None
+                yield pd.DataFrame({"fold": [f], "model": [pickle.dumps(made)]})
+
+    import pickle
+
+    jobs = spark.createDataFrame([(f,) for f in range(folds)], "fold int").repartition(folds)
+    models = {r["fold"]: pickle.loads(r["model"]) for r in jobs.mapInPandas(fit, "fold int, model binary").collect()}
+    shared = spark.sparkContext.broadcast(models)
+
+    def score(frames):
+        for pdf in frames:
+            for f, part in pdf.groupby("fold"):
+                m = shared.value[f]
+                if m is not None:
+                    yield pd.DataFrame({"doc_id": part["doc_id"], label: part[label], "fold": part["fold"], "z": list(m.raw_scores(dense(part["feats"], size))), "names": [m.labels] * len(part)})
+
+    kind = dict(df.dtypes)[label]
+    return df.select("doc_id", label, "fold", "feats").mapInPandas(score, f"doc_id long, {label} {kind}, fold int, z array<double>, names array<string>")
+
+
+def fold_recalls(scored: DataFrame, label: str, fpr: float = 0.005) -> DataFrame:
+    """Micro and macro recall, closed and open, over all folds. A fold's threshold is the ``fpr`` order statistic of the other folds' known rows."""
+    top = F.array_max("z")
+    best = F.get("names", F.array_position("z", top).cast("int") - 1)
+    known = scored.withColumn("top", top).withColumn("closed", best)
+    taus = None
+    for f in sorted(r["fold"] for r in scored.select("fold").distinct().collect()):  # a stated number of folds
+        t = threshold_of(known.where((F.col("fold") != f) & (F.col(label) != NOVEL)), fpr, "top").withColumn("fold", F.lit(f))
+        taus = t if taus is None else taus.unionByName(t)
+    if taus is None:
+        return scored.sparkSession.createDataFrame([], "setting string, micro double, macro double")
+    both = known.join(F.broadcast(taus), "fold").withColumn("open", F.when(F.col("top") < F.col("tau"), F.lit(NOVEL)).otherwise(F.col("closed")))
+    from .measures import micro_macro_recall
+
+    closed = micro_macro_recall(both.where(F.col(label) != NOVEL), label, "closed").withColumn("setting", F.lit("closed"))
+    return closed.unionByName(micro_macro_recall(both, label, "open").withColumn("setting", F.lit("open"))).select("setting", "micro", "macro")
+
+
+def library_booster(df: DataFrame, label: str, size: int, rounds: int = 10, depth: int = 3) -> DataFrame:
+    """The same classifier from the machine-learning library: one boosted-tree model a class against the rest, trained on all rows; doc_id and z."""
+    from pyspark.ml.classification import GBTClassifier, OneVsRest
+    from pyspark.ml.functions import array_to_vector, vector_to_array
+
+    ones = F.transform(F.sequence(F.lit(1), F.lit(size)), lambda i: F.array_contains("feats", i).cast("double"))
+    names = sorted(r[label] for r in df.select(label).where(F.col(label).isNotNull()).distinct().collect())
+    place = F.create_map(*[F.lit(v) for i, n in enumerate(names) for v in (n, float(i))])
+    rows = df.withColumn("features", array_to_vector(ones)).withColumn("label", F.element_at(place, F.col(label)))
+    model = OneVsRest(classifier=GBTClassifier(maxIter=rounds, maxDepth=depth)).fit(rows.where("label is not null").select("features", "label"))
+    return model.transform(rows).select("doc_id", vector_to_array("rawPrediction").alias("z"))
 
 
 def open_predict(df: DataFrame, labels: list[str], tau: float, score: str = "raw") -> DataFrame:
@@ -160,9 +261,12 @@ def keep_top_classes(df: DataFrame, label: str, k: int) -> DataFrame:
     return df.join(F.broadcast(top), F.col(label) == F.col("_t"), "left").withColumn("class", F.coalesce("_t", F.lit(NOVEL))).drop("_t")
 
 
-def leave_one_class_out(df: DataFrame, label: str) -> DataFrame:
-    """One copy of the rows for each class left out: left_out, is_novel."""
+def leave_one_class_out(df: DataFrame, label: str, most: int = 10_000) -> DataFrame:
+    """One copy of the rows for each class left out: left_out, is_novel. More than ``most`` classes are refused: rows times classes would leave any bound."""
     classes = df.select(F.col(label).alias("left_out")).distinct()
+    n = classes.count()
+    if n > most:
+        raise ValueError(f"{n} classes to leave out, at most {most}; keep the largest ones first")
     return df.crossJoin(F.broadcast(classes)).withColumn("is_novel", (F.col(label) == F.col("left_out")).cast("int"))
 
 
