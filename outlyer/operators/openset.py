@@ -34,7 +34,7 @@ def presence_features(df: DataFrame, token_col: str, vocab: DataFrame) -> DataFr
         return df.withColumn("feats", F.array().cast("array<int>"))
     place = F.create_map(*[F.lit(v) for i, w in enumerate(words) for v in (w, i + 1)])
     held = F.array_intersect(token_col, F.array(*[F.lit(w) for w in words]))
-    return df.withColumn("feats", F.array_sort(F.transform(held, lambda w: F.element_at(place, w))))
+    return df.withColumn("feats", F.coalesce(F.array_sort(F.transform(held, lambda w: F.element_at(place, w))), F.array().cast("array<int>")))
 
 
 class SoftmaxBooster:
