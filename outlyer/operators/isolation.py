@@ -180,13 +180,15 @@ class Forest:
         cols, vals = x.cols[at], x.vals[at]
         none = np.iinfo(np.int64).max
         rng = self._rng(*split) if self.exact or not self.b else None
-        if self.exact:  # rounds of one draw a model; the place of the first accepted draw is the hash
-            hit = np.full(len(cols), none)
-            for turn in range(12):
-                threshold, place = rng.random(x.m, np.float32), rng.permutation(x.m) + turn * x.m
-                fresh = (hit == none) & (vals > threshold[cols])
-                hit[fresh] = place[cols[fresh]]
-            fold = rng.integers(self.b, size=12 * x.m + 1) if self.b else np.append(np.tile(np.arange(x.m), 12), x.m)
+        if self.exact:  # draws of a model arrive at random times; the first accepted one of all is the hash
+            hit, arrive = np.full(len(cols), none), np.zeros(x.m)
+            for _ in range(16):  # what is not accepted by then would come last
+                arrive += rng.exponential(size=x.m)
+                fresh = (hit == none) & (vals > rng.random(x.m)[cols])
+                hit[fresh] = ((arrive[cols[fresh]] * 2.0**35).astype(np.int64) << 20) | cols[fresh]
+                if (hit < none).all():
+                    break
+            fold = None
         elif self.b:  # thresholds binarise, the first active model in a random order is folded to b branches by the low bits of its place
             h = (cols.astype(np.uint64) + np.uint64(hash((self.seed, *split)) & (2**64 - 1))) * np.uint64(0x9E3779B97F4A7C15)
             h ^= h >> np.uint64(31)
@@ -204,6 +206,9 @@ class Forest:
         some = np.flatnonzero(x.starts[rows + 1] > x.starts[rows])
         if len(some):
             first[some] = np.minimum.reduceat(hit, begin[some])
+        if self.exact:
+            place = np.where(first == none, x.m, first & (2**20 - 1))
+            return place if not self.b else np.where(first == none, hash((self.seed, *split, 1)) % self.b, (first >> 20) % self.b)
         if fold is None:
             return np.where(first == none, hash((self.seed, *split, 1)) % self.b, first % self.b)
         return fold[np.where(first == none, len(fold) - 1, first)]
