@@ -18,7 +18,7 @@ from ..sources import planted
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
-RUNS, TREES, PSI = 2, 100, 256
+RUNS, TREES, PSI = 1, 100, 256
 LOF_K = (10, 25, 50, 75, 100, 150, 200, 300, 400, 500)
 
 
@@ -97,7 +97,7 @@ _AUC = "kind string, run int, eps double, space string, method string, auc doubl
 
 @query()
 def auc_by_space(s, d):
-    """AUC of each method in ambient, binary and continuous preference space on the planar sets, 10 n models, 100 trees, best LOF neighbourhood, two inlier thresholds, two runs (the study has ten)."""
+    """AUC of each method in ambient, binary and continuous preference space on the planar sets, 10 n models, 100 trees, best LOF neighbourhood, two inlier thresholds, one run (the study has ten)."""
     return by_run(shape_sets(s, d), RUNS, _aucs, _AUC)
 
 
@@ -145,7 +145,7 @@ def _branches(kind: str, run: int, x: np.ndarray, truth: np.ndarray):
 
 @query()
 def branching_sweep(s, d):
-    """AUC of hash and cell forests by branching factor, 100 trees, 10 n models; times are in bench.py. Two runs (the study has five)."""
+    """AUC of hash and cell forests by branching factor, 100 trees, 10 n models; times are in bench.py. One run (the study has five)."""
     return by_run(shape_sets(s, d, ["stair4", "star5"]), RUNS, _branches, "kind string, run int, method string, b int, auc double")
 
 
@@ -226,7 +226,7 @@ def _thresholds(kind: str, run: int, x: np.ndarray, truth: np.ndarray):
 
 @query()
 def eps_outlier_sweep(s, d):
-    """Error of criterion and centroid linkage on the star of five lines by threshold (multiples of the noise) and outlier share; two runs (the study has fifty)."""
+    """Error of criterion and centroid linkage on the star of five lines by threshold (multiples of the noise) and outlier share; one run (the study has fifty)."""
     out = None
     for share in (0.1, 0.3, 0.5):
         part = by_run(shape_sets(s, d, ["star5"], share), RUNS, _thresholds, "kind string, run int, k int, method string, me double").withColumn("outliers", F.lit(share))
