@@ -16,15 +16,16 @@ learned from; with no labelled rows everything is ``und``; lang, source and ids
 
 from __future__ import annotations
 
+import hashlib
 import re
 from collections import Counter
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import smallest_hashes
+from .common import cut, smallest_hashes
 
 ORDER, START, END = 5, 1, 2
 _WORD = re.compile(r"[^\W\d_]+")
@@ -184,35 +185,42 @@ def fit(labelled: DataFrame, per_lang: int = 400, levels: bool = True) -> CharMo
         return None
     model = CharModels.fit(texts).calibrate(texts)
     if levels:
-        model.reject = rejection_levels(labelled, model, texts)
+        model.reject = rejection_levels(predict(labelled.where("lang is not null and text is not null").select("lang", "text"), model, known_texts(texts)), model, texts)
     return model
 
 
-def rejection_levels(labelled: DataFrame, model: CharModels, texts: dict[str, list[str]], quantile: float = 0.999, slack: float = 1.25) -> np.ndarray:
-    """Level of each language: ``slack`` times a quantile of the rates of all labelled rows whose text the model was not fitted on.
+def screen(docs: DataFrame, labelled: Column, per_lang: int = 400) -> DataFrame | None:
+    """:func:`predict` with a model and levels of the rows where ``labelled`` holds; every text is scored once, into a table in the shared folder. None without a labelled text.
 
-    A language with fewer than 1,000 such rows adds the rates of its sample under models of the other half of it,
-    fitted as the whole; one with a single text rejects nothing.
+    ``labelled`` reads columns of ``docs`` that :func:`predict` keeps.
     """
-    import hashlib
+    texts = training_texts(docs.where(labelled).select("text", "lang"), per_lang)
+    if not texts:
+        return None
+    model = CharModels.fit(texts).calibrate(texts)
+    scored = cut(predict(docs, model, known_texts(texts)), "languages")
+    levels = rejection_levels(scored.where(labelled), model, texts)
+    level = F.create_map(*[F.lit(v) for pair in zip(model.langs, levels.tolist(), strict=True) for v in pair])[F.col("lang_pred")]  # an entry a language of the model
+    return scored.withColumn("rejected", F.coalesce(F.col("bits_per_char") > level, F.lit(True))).drop("own_rate")
 
-    used = {(lang, hashlib.md5(t.encode("utf-8", "surrogatepass")).digest()) for lang, ts in texts.items() for t in ts}
-    shared = labelled.sparkSession.sparkContext.broadcast((model, used))  # bounded as the model is
 
-    def run(batches):
-        import pyarrow as pa
+def known_texts(texts: dict[str, list[str]]) -> set[tuple[str, bytes]]:
+    """Language and digest of every text a model was fitted on."""
+    return {(lang, _digest(t)) for lang, ts in texts.items() for t in ts}
 
-        (m, known), cache = shared.value, {}
-        place = {lang: i for i, lang in enumerate(m.langs)}
-        for batch in batches:
-            rows = [(lang, t) for lang, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if lang in place and (lang, hashlib.md5(t.encode("utf-8", "surrogatepass")).digest()) not in known]
-            rates, n = _rated(m, [t for _, t in rows], cache)
-            kept = [(lang, float(rates[i, place[lang]])) for i, (lang, _) in enumerate(rows) if n[i] > 0]
-            yield pa.record_batch([pa.array([k for k, _ in kept], pa.string()), pa.array([r for _, r in kept], pa.float64())], ["lang", "rate"])
-
-    rated = labelled.where("lang is not null and text is not null").select("lang", "text").mapInArrow(run, "lang string, rate double")
-    found = {r["lang"]: r for r in rated.groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("rate", quantile, 100_000).alias("level")).collect()}
-    shared.destroy()  # workers hold one model at a time
+
+def _digest(text: str) -> bytes:
+    return hashlib.md5(text.encode("utf-8", "surrogatepass")).digest()
+
+
+def rejection_levels(scored: DataFrame, model: CharModels, texts: dict[str, list[str]], quantile: float = 0.999, slack: float = 1.25) -> np.ndarray:
+    """Level of each language: ``slack`` times a quantile of ``own_rate`` over all labelled rows, which has none for texts the model was fitted on.
+
+    A language with fewer than 1,000 such rows adds the rates of its sample under models of the other half of it,
+    fitted as the whole; one with a single text rejects nothing.
+    """
+    rated = scored.where("own_rate is not null").groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.percentile_approx("own_rate", quantile, 100_000).alias("level"))
+    found = {r["lang"]: r for r in rated.collect()}
     out = np.full(len(model.langs), np.inf)
     for i, lang in enumerate(model.langs):
         n, level = (found[lang]["n"], found[lang]["level"]) if lang in found else (0, 0.0)
@@ -242,21 +250,29 @@ def _rated(m: CharModels, texts: list[str], cache: dict, chars: int = 1_000_000,
     return (np.concatenate(rates), np.concatenate(counts)) if rates else (np.zeros((0, len(m.langs))), np.zeros(0))
 
 
-def predict(docs: DataFrame, model: CharModels | None) -> DataFrame:
-    """All columns of ``docs`` but any clashing ones, plus lang_pred, score (0 to 1), bits_per_char and rejected."""
+def predict(docs: DataFrame, model: CharModels | None, known: set[tuple[str, bytes]] | None = None) -> DataFrame:
+    """All columns of ``docs`` but any clashing ones, plus lang_pred, score (0 to 1), bits_per_char and rejected.
+
+    With ``known`` also own_rate, the rate under the row's own ``lang``; null where the model has no such language, the text has no letter, or ``known`` holds both.
+    """
     spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(model)  # bounded: per_lang texts a language
-    keep = [c for c in docs.columns if c not in ("lang_pred", "score", "bits_per_char", "rejected")]
-    schema = T.StructType([*docs.select(*keep).schema.fields, *T._parse_datatype_string("lang_pred string, score double, bits_per_char double, rejected boolean").fields])
+    shared = spark.sparkContext.broadcast((model, known))  # bounded: per_lang texts a language
+    added = ["lang_pred string", "score double", "bits_per_char double", "rejected boolean"] + ["own_rate double"] * (known is not None)
+    names = [a.split()[0] for a in added]
+    keep = [c for c in docs.columns if c not in names]
+    schema = T.StructType([*docs.select(*keep).schema.fields, *T._parse_datatype_string(", ".join(added)).fields])
 
     def score(batches):
         import pyarrow as pa
 
-        m, cache = shared.value, {}
+        (m, fitted), cache = shared.value, {}
+        place = {lang: i for i, lang in enumerate(m.langs)} if m is not None else {}
         for batch in batches:
             texts = [t or "" for t in batch.column(batch.schema.get_field_index("text")).to_pylist()]
-            names, scores = ["und"] * len(texts), [0.0] * len(texts)
+            own_langs = batch.column(batch.schema.get_field_index("lang")).to_pylist() if fitted is not None else []
+            found, scores = ["und"] * len(texts), [0.0] * len(texts)
             bits: list[float | None] = [None] * len(texts)
+            own: list[float | None] = [None] * len(texts)
             bad = [True] * len(texts)
             if m is not None:
                 rates, n = _rated(m, texts, cache)
@@ -265,9 +281,11 @@ def predict(docs: DataFrame, model: CharModels | None) -> DataFrame:
                 sure = 1 / posterior.sum(axis=1)
                 for i in np.flatnonzero(n > 0).tolist():
                     b = int(best[i])
-                    names[i], scores[i], bits[i] = m.langs[b], float(sure[i]), float(rates[i, b])
+                    found[i], scores[i], bits[i] = m.langs[b], float(sure[i]), float(rates[i, b])
                     bad[i] = bool(rates[i, b] > m.reject[b])
-            more = [pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(bits, pa.float64()), pa.array(bad, pa.bool_())]
-            yield pa.record_batch([*batch.columns, *more], [*batch.schema.names, "lang_pred", "score", "bits_per_char", "rejected"])
+                    if own_langs and own_langs[i] in place and (own_langs[i], _digest(texts[i])) not in fitted:
+                        own[i] = float(rates[i, place[own_langs[i]]])
+            more = [pa.array(found, pa.string()), pa.array(scores, pa.float64()), pa.array(bits, pa.float64()), pa.array(bad, pa.bool_()), pa.array(own, pa.float64())]
+            yield pa.record_batch([*batch.columns, *more[: len(names)]], [*batch.schema.names, *names])
 
     return docs.select(*keep).mapInArrow(score, schema)
