@@ -14,11 +14,9 @@ from outlyer.llm.common import cut, fold_of, guarded, release, table, without, w
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents whose language the model recognises; ``lang`` stays as given. Without any labelled text there is no model and all stay."""
-    model = langid.fit(docs.where(fold_of("doc_id", 5) != 0).select("text", "lang"))
-    if model is None:
-        return docs
     own, back = guarded(docs, "doc_id", "text", "lang")
-    return back(langid.predict(own, model).where(~F.col("rejected")))
+    seen = langid.screen(own, fold_of("doc_id", 5) != 0)
+    return docs if seen is None else back(seen.where(~F.col("rejected")))
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
