@@ -17,3 +17,10 @@ def test_a_range_of_time_ends_at_the_microsecond(spark, tmp_path):
     spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, value double").write.parquet(str(tmp_path / "events.parquet"))
     got = {r["event_id"]: r["day_sum"] for r in catalog.queries()["win_range"](spark, str(tmp_path)).collect()}
     assert got == {1: 1.0, 2: 2.0, 3: 6.0}
+
+
+def test_paired_t_rounds_the_mean_and_not_its_float_noise(spark):
+    """The mean is 0.2042475 exactly; as a sum of floats it is 0.20424749999999997."""
+    rows = list(zip([0.255294, 0.841745, 0.673114, 0.083234], [0.016691, 0.01456, 0.755587, 0.249559], strict=True))
+    got = measures.paired_t(spark.createDataFrame(rows, "a double, b double").coalesce(1), "a", "b").first()
+    assert (got["n"], got["mean_diff"]) == (4, 0.204248)
