@@ -24,3 +24,14 @@ def test_paired_t_rounds_the_mean_and_not_its_float_noise(spark):
     rows = list(zip([0.255294, 0.841745, 0.673114, 0.083234], [0.016691, 0.01456, 0.755587, 0.249559], strict=True))
     got = measures.paired_t(spark.createDataFrame(rows, "a double, b double").coalesce(1), "a", "b").first()
     assert (got["n"], got["mean_diff"]) == (4, 0.204248)
+
+
+FROM_TABLES = {
+    "c_iso_table": "lineitem",
+}
+
+
+@pytest.mark.parametrize("name", sorted(FROM_TABLES))
+def test_reads_its_table(spark, name):
+    files = catalog.queries()[name](spark, D).inputFiles()
+    assert [f.rsplit("/", 1)[1] for f in files] == [f"{FROM_TABLES[name]}.parquet"]
