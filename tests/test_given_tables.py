@@ -27,6 +27,7 @@ def test_paired_t_rounds_the_mean_and_not_its_float_noise(spark):
 
 
 FROM_TABLES = {
+    "window_models": "lineitem",
     "online_depths": "events",
     "node_paths": "orders",
     "folded_collision_experiment": "orders",
