@@ -1,11 +1,14 @@
 """Queries that once differed from their SQL outside the smallest scale, or made their data up instead of reading a given table."""
 
 import datetime
+from collections import Counter
 
+import numpy as np
 import pytest
 
 from outlyer import catalog
 from outlyer.operators import measures
+from outlyer.plans import methods
 
 D = "/root/testdata/sf0.001"
 
@@ -41,3 +44,26 @@ FROM_TABLES = {
 def test_reads_its_table(spark, name):
     files = catalog.queries()[name](spark, D).inputFiles()
     assert [f.rsplit("/", 1)[1] for f in files] == [f"{FROM_TABLES[name]}.parquet"]
+
+
+def test_pairs_of_query_rows_are_not_shuffled(spark, monkeypatch):
+    """Sums over shared models equal a plain loop, repeated rows of an id included, with the queries in one broadcast or several."""
+    rng = np.random.default_rng(3)
+    rows = [(int(p), 0, int(m), float(x)) for p, m, x in zip(rng.integers(0, 90, 400), rng.integers(0, 12, 400), rng.random(400), strict=True)]
+    pref = spark.createDataFrame(rows, "pid long, is_anom int, mid long, p double")
+    pairs = [(x, y) for x in rows for y in rows if x[0] % 20 == 0 and x[0] != y[0] and x[2] == y[2]]
+    total = lambda i, f: sum(f(r) for r in rows if r[0] == i)
+    for postings in (methods.POSTINGS, 7):
+        monkeypatch.setattr(methods, "POSTINGS", postings)
+        shared = methods.shared_models(pref)
+        assert "hashpartitioning(a#" not in shared._jdf.queryExecution().executedPlan().toString()
+        n = Counter((x[0], y[0]) for x, y in pairs)
+        assert sorted(map(tuple, shared.collect())) == sorted((*k, v) for k, v in n.items())
+        for kind, own, mass in (("jaccard", lambda x, y: 1, lambda r: 1), ("ruzicka", min, lambda r: r[3]), ("tanimoto", lambda x, y: x * y, lambda r: r[3] ** 2)):
+            both = Counter()
+            for x, y in pairs:
+                both[x[0], y[0]] += own(x[3], y[3])
+            want = {k: 1 - v / (total(k[0], mass) + total(k[1], mass) - v) for k, v in both.items()}
+            got = methods.pair_distances(pref, kind)
+            assert {(r["a"], r["b"]): r["d"] for r in got.collect()} == pytest.approx(want, abs=6e-6)
+    assert methods.shared_models(pref.where("false")).count() == 0
