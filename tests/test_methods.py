@@ -92,6 +92,16 @@ def test_adaptive_forest_keeps_its_bounds():
         online.AdaptiveHistogramForest(omega=16, eta=16)
 
 
+@pytest.mark.parametrize("forget", ["buffer", "sampled"])
+def test_adaptive_scorer_takes_rows_together(forget):
+    """Many rows in one call, in parts, get the scores of single steps; boxes and points are plain numbers."""
+    x = np.random.default_rng(5).exponential(10, (1500, 3))
+    one, many = (online.AdaptiveHistogramForest(omega=256, eta=16, trees=4, forget=forget) for _ in range(2))
+    want = [one.step(row) for row in x]
+    assert np.array_equal(np.concatenate([many.run(x[:700], at_once=64), many.run(x[700:])]), want) and one.size() == many.size()
+    assert all(type(v) is float for root in many.roots for v in root.lo + root.hi)
+
+
 def test_booster_and_ratio():
     rng = np.random.default_rng(2)
     y = rng.integers(3, size=120)
