@@ -7,6 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..core.scratch import scratch
 from ..functions.rng import u01
 
 NOVEL = "__novel__"
@@ -217,17 +218,27 @@ def fold_recalls(scored: DataFrame, label: str, fpr: float = 0.005) -> DataFrame
     return closed.unionByName(micro_macro_recall(both, label, "open").withColumn("setting", F.lit("open"))).select("setting", "micro", "macro")
 
 
-def library_booster(df: DataFrame, label: str, size: int, rounds: int = 10, depth: int = 3) -> DataFrame:
-    """The same classifier from the machine-learning library: one boosted-tree model a class against the rest, trained on all rows; doc_id and z."""
+def library_booster(df: DataFrame, label: str, size: int, rounds: int = 10, depth: int = 3, of: DataFrame | None = None) -> DataFrame:
+    """The same classifier from the machine-learning library: one boosted-tree model a class against the rest, trained on all rows of ``df``; doc_id and z of the rows of ``of`` (else of ``df``).
+
+    Rows of equal features and label are one row with their number as weight, and equal features are scored once.
+    """
     from pyspark.ml.classification import GBTClassifier, OneVsRest
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
+    spark, rows = df.sparkSession, df if of is None else of
     ones = F.transform(F.sequence(F.lit(1), F.lit(size)), lambda i: F.array_contains("feats", i).cast("double"))
-    names = sorted(r[label] for r in df.select(label).where(F.col(label).isNotNull()).distinct().collect())
+    path = scratch(spark, "booster-rows")
+    counted = df.where(F.col(label).isNotNull()).groupBy("feats", label).agg(F.count(F.lit(1)).cast("double").alias("weight"))
+    counted.write.parquet(path)
+    counted = spark.read.schema(counted.schema).parquet(path)
+    names = sorted(r[label] for r in counted.select(label).distinct().collect())
     place = F.create_map(*[F.lit(v) for i, n in enumerate(names) for v in (n, float(i))])
-    rows = df.withColumn("features", array_to_vector(ones)).withColumn("label", F.element_at(place, F.col(label)))
-    model = OneVsRest(classifier=GBTClassifier(maxIter=rounds, maxDepth=depth)).fit(rows.where("label is not null").select("features", "label"))
-    return model.transform(rows).select("doc_id", vector_to_array("rawPrediction").alias("z"))
+    held = counted.select(array_to_vector(ones).alias("features"), F.element_at(place, F.col(label)).alias("label"), "weight")
+    model = OneVsRest(classifier=GBTClassifier(maxIter=rounds, maxDepth=depth), weightCol="weight", parallelism=4).fit(held)
+    different = rows.select("feats").distinct().withColumn("features", array_to_vector(ones))
+    scored = model.transform(different).select("feats", vector_to_array("rawPrediction").alias("z"))
+    return rows.select("doc_id", "feats").join(scored, "feats").select("doc_id", "z")
 
 
 def open_predict(df: DataFrame, labels: list[str], tau: float, score: str = "raw") -> DataFrame:

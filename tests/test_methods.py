@@ -102,6 +102,22 @@ def test_adaptive_scorer_takes_rows_together(forget):
     assert all(type(v) is float for root in many.roots for v in root.lo + root.hi)
 
 
+def test_library_booster_weighs_equal_rows_and_scores_others(spark):
+    """Equal rows train as one with a weight, as in the library's plain fit on all rows; other rows can be scored, each once."""
+    from pyspark.ml.classification import GBTClassifier, OneVsRest
+    from pyspark.ml.linalg import Vectors
+
+    kinds = [([1], "a", 9), ([1], "b", 2), ([2], "b", 7), ([1, 2], "a", 1), ([], "b", 3)]
+    rows = [(f, y) for f, y, n in kinds for _ in range(n)]
+    df = spark.createDataFrame([(i, y, f) for i, (f, y) in enumerate(rows)], "doc_id long, lang string, feats array<int>")
+    rest = spark.createDataFrame([(100, [2]), (101, [1, 2]), (102, [2])], "doc_id long, feats array<int>")
+    got = {r["doc_id"]: r["z"] for r in openset.library_booster(df, "lang", 2, rounds=2, depth=2, of=rest).collect()}
+    plain = spark.createDataFrame([(Vectors.dense([float(i in f) for i in (1, 2)]), float("ab".index(y))) for f, y in rows], ["features", "label"])
+    model = OneVsRest(classifier=GBTClassifier(maxIter=2, maxDepth=2)).fit(plain)
+    want = [r["rawPrediction"].toArray() for r in model.transform(spark.createDataFrame([(Vectors.dense([0.0, 1.0]),), (Vectors.dense([1.0, 1.0]),)], ["features"])).collect()]
+    assert set(got) == {100, 101, 102} and np.allclose([got[100], got[101], got[102]], [want[0], want[1], want[0]])
+
+
 def test_booster_and_ratio():
     rng = np.random.default_rng(2)
     y = rng.integers(3, size=120)
