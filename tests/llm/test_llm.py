@@ -1,6 +1,7 @@
 """Small fixtures with nulls, empties, ties and repeats; brute force beside each operator."""
 
 import os
+import time
 import zlib
 from array import array
 
@@ -236,6 +237,35 @@ def test_images_without_a_common_key_meet_by_every(spark, monkeypatch):
     assert [tuple(r) for r in apart.collect()] == [(4, 6)]
 
 
+def test_image_copies_leave_no_shuffle_files(spark, monkeypatch):
+    """What the steps deal out is off the disk when they have ended, and images that need several turns of verification are still linked."""
+    rng = np.random.default_rng(12)
+    made = [media.stored(_corners(rng, 14)) for _ in range(30)]
+    made += [m.copy() for m in made[:4]]
+    for m in made[30:]:
+        m["x"] += 5
+    rows = [(i, len(m), bytearray(m.tobytes()), [7 << 40, (100 + i) << 40], bytearray(str(i).encode())) for i, m in enumerate(made)]
+    monkeypatch.setattr(media, "features", lambda m: m)
+    df = spark.createDataFrame(rows, "media_id long, n_corners int, corners binary, keys array<long>, same binary")
+    files = lambda: {x for x in str(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ")).split() if "shuffle_" in x}
+    before = files()
+    out = media.edited_copies(df)
+    for _ in range(50):
+        if not (left := files() - before):
+            break
+        time.sleep(0.1)
+    assert not left
+    assert {r["media_id"]: r["group_id"] for r in out.collect()} == {i: i % 30 if i >= 30 else i for i in range(34)}
+
+
+def test_heads_of_shared_keys(spark):
+    """A head is found if and only if two rows have it, in one batch or in two; keys of either sign."""
+    rows = [([-5, 3 << 50, 9 << 45],), ([-5, 1 << 60],), ([],), ([3 << 50, -(1 << 62)],)]
+    for parts in (1, 4):
+        got = sorted(r["head"] for r in media.shared_heads(spark.createDataFrame(rows, "keys array<long>").repartition(parts)).collect())
+        assert got == sorted((k % 2**64) >> (64 - media.HEAD) for k in (-5, 3 << 50))
+
+
 def test_pairs_at_once_equal_consensus():
     """The comparison of many images at once finds the pairs of the consensus, in both directions."""
     rng = np.random.default_rng(11)
