@@ -51,6 +51,42 @@ def test_encoder_equals_tokenizer():
         assert e.encode([s])[0] == array("I", t.encode(s, add_special_tokens=False).ids).tobytes()
 
 
+class _Counted:
+    """A tokenizer that counts the texts it is given."""
+
+    def __init__(self, inner):
+        self.inner, self.texts = inner, 0
+
+    def encode_batch_fast(self, texts, **options):
+        self.texts += len(texts)
+        return self.inner.encode_batch_fast(texts, **options)
+
+
+def test_encoder_hands_over_new_words_together():
+    """An encoding of its own for each new word was most of the time of op2_packing."""
+    from tokenizers import Tokenizer
+
+    t, e = Tokenizer.from_file(default_vocabulary()), WordEncoder(default_vocabulary())
+    e.letters = _Counted(e.letters)
+    rng = np.random.default_rng(7)
+    words = ["".join(rng.choice(list("abcdeéñß"), rng.integers(3, 12))) for _ in range(5000)]
+    texts = [" ".join(words[i : i + 50]) + "." for i in range(0, 5000, 50)]
+    assert e.encode(texts) == [array("I", t.encode(s, add_special_tokens=False).ids).tobytes() for s in texts]
+    assert e.letters.texts <= 10
+
+
+@pytest.mark.parametrize(("limit", "longest"), [(500_000, 48), (0, 3)])
+def test_encoder_equals_tokenizer_on_mixed_characters(limit, longest):
+    from tokenizers import Tokenizer
+
+    t, e = Tokenizer.from_file(default_vocabulary()), WordEncoder(default_vocabulary(), limit, longest)
+    rng = np.random.default_rng(11)
+    parts = [*"aAbZ  \t\n09.,'<>/@\x00\x1c\x7f\u0301×÷ßÿÀÞéÉµªº½ıŁςЖ字م١\xa0\u2028\u3000\x85😀\xad", "<|endoftext|>", "</w>", "'ll", "naïve", " THE ", "x1y22."]
+    texts = ["".join(rng.choice(parts, rng.integers(0, 30))) for _ in range(3000)]
+    got = [x for i in range(0, 3000, 70) for x in e.encode(texts[i : i + 70])]
+    assert got == [array("I", x.ids).tobytes() for x in t.encode_batch_fast(texts, add_special_tokens=False)]
+
+
 def test_best_fit_is_tight():
     sizes = np.random.default_rng(1).integers(1, 100, 500)
     bins, offsets = packing.best_fit(sizes, 100)
