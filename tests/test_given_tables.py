@@ -71,6 +71,19 @@ def test_pairs_of_query_rows_are_not_shuffled(spark, monkeypatch):
     assert methods.shared_models(pref.where("false")).count() == 0
 
 
+def test_every_pair_that_shares_a_model_is_counted(spark, monkeypatch):
+    """Rows whose ids are not divisible by 20 are queries too, repeated rows of an id count as often as in the SQL's join."""
+    rng = np.random.default_rng(4)
+    rows = [(int(p), 0, int(m), 1.0) for p, m in zip(rng.integers(-40, 60, 300), rng.integers(0, 9, 300), strict=True)]
+    pref = spark.createDataFrame(rows, "pid long, is_anom int, mid long, p double")
+    want = Counter((x[0], y[0]) for x in rows for y in rows if x[0] != y[0] and x[2] == y[2])
+    for postings in (methods.POSTINGS, 90):
+        monkeypatch.setattr(methods, "POSTINGS", postings)
+        assert sorted(map(tuple, methods.shared_models(pref, every=True).collect())) == sorted((*k, v) for k, v in want.items())
+    got = catalog.queries()["join_shared_model"](spark, D)
+    assert got.where("a % 20 <> 0").count() > 0 and got.select("a").distinct().count() == got.select("b").distinct().count()
+
+
 @pytest.mark.parametrize("kind", ["hash", "oblique"])
 def test_dense_splits_equal_sparse_ones(monkeypatch, kind):
     """Looking at the first models ahead changes no score, also for rows with few models or none."""
