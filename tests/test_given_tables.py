@@ -122,3 +122,42 @@ def test_rows_of_a_window_together_equal_steps(name, how):
     want = [one.step(row) for row in x]
     got = np.concatenate([many.run(x[a:b]) for a, b in ((0, 0), (0, 1), (1, 450), (450, 1500))])
     assert np.array_equal(got, want)
+
+
+@pytest.mark.parametrize("name, how", [("cut_forest", {"trees": 2, "psi": 48}), ("projections", {"warm": 100}), ("adaptive", {"trees": 9, "omega": 200, "eta": 16})])
+def test_runs_of_rows_equal_steps(name, how):
+    rng = np.random.default_rng(6)
+    x = np.round(rng.random((900, 4)) * rng.choice([1, 1.7], (900, 1), p=[0.9, 0.1]), 2)
+    one, many = (online.KERNELS[name](4, 1, **how) for _ in range(2))
+    want = [one.step(row) for row in x]
+    got = np.concatenate([many.run(x[a:b]) for a, b in ((0, 0), (0, 1), (1, 450), (450, 900))])
+    assert np.array_equal(got, want)
+
+
+def test_half_spaces_take_many_windows_at_once(monkeypatch):
+    """Only the first of many whole windows and what is left at the end are counted node by node."""
+    calls, plain = [], online.HalfSpaceTrees._tree_scores
+    monkeypatch.setattr(online.HalfSpaceTrees, "_tree_scores", lambda self, t, x: calls.append(len(x)) or plain(self, t, x))
+    x = np.random.default_rng(7).random((2030, 3))
+    one, many = (online.HalfSpaceTrees(3, window=50, trees=2) for _ in range(2))
+    assert np.array_equal(many.run(x), [one.step(row) for row in x])
+    assert calls == [50, 50, 30, 30] and many.size() == one.size()
+
+
+def test_boxes_and_sizes_of_a_cut_forest_follow_its_points():
+    forest, x = online.RandomCutForest(trees=2, psi=20), np.random.default_rng(8).integers(0, 6, (120, 2)).astype(float)
+    for i, row in enumerate(x):
+        forest.step(row)
+        if i < 30 or i % 7:
+            continue
+        for root in forest.roots:
+            def points(node):
+                return [node[0]] if node[5] is None else points(node[5]) + points(node[6])
+
+            todo = [root]
+            while todo:
+                node = todo.pop()
+                own = np.array(points(node))
+                assert (node[2], list(node[0]), list(node[1])) == (len(own), own.min(axis=0).tolist(), own.max(axis=0).tolist())
+                todo += [n for n in node[5:7] if n is not None]
+            assert sorted(points(root)) == sorted(x[i - 19 : i + 1].tolist())
